@@ -3,13 +3,14 @@
 from __future__ import annotations
 
 
-from . import chat_format, exact_dedup, mixing, quality_rules
+from . import chat_format, exact_dedup, mixing, quality_rules, simhash
 
 
 def queries():
     return {
         "op2_chat_format": chat_format.op2_chat_format,
         "op3_quality_rules": quality_rules.op3_quality_rules,
+        "op5_simhash": simhash.op5_simhash,
         "op8_curriculum_mixing": mixing.op8_curriculum_mixing,
         "op9_exact_dedup": exact_dedup.op9_exact_dedup,
     }
