@@ -37,9 +37,11 @@ DIMS = 32
 NOISE = 10
 STEPS = 120
 RATE = 0.05
+#: Weight of the square of the embeddings, in observed pairs.
+RIDGE = 10.0
 
 
-def train(pairs: np.ndarray, dims: int = DIMS, noise: int = NOISE, steps: int = STEPS, rate: float = RATE, seed: int = 7) -> tuple:
+def train(pairs: np.ndarray, dims: int = DIMS, noise: int = NOISE, steps: int = STEPS, rate: float = RATE, ridge: float = RIDGE, seed: int = 7) -> tuple:
     """(context vectors after ``C``, output vectors, biases) from counts of adjacent pairs."""
     n, rng = len(pairs), np.random.default_rng(seed)
     total = max(1.0, float(pairs.sum()))
@@ -48,7 +50,6 @@ def train(pairs: np.ndarray, dims: int = DIMS, noise: int = NOISE, steps: int =
     data = (pairs / total).astype(np.float32)
     fake = (noise * seen * share).astype(np.float32)
     level = np.log(noise * share).astype(np.float32)
-    # a context's own step size: rare ones would otherwise hardly move
     params = [rng.normal(0, 0.1, (n, dims)), np.eye(dims), rng.normal(0, 0.1, (n, dims)), np.log(share)]
     params = [p.astype(np.float32) for p in params]
     first, second = [np.zeros_like(p) for p in params], [np.zeros_like(p) for p in params]
@@ -59,6 +60,8 @@ def train(pairs: np.ndarray, dims: int = DIMS, noise: int = NOISE, steps: int =
         slope = data * (1 - real) - fake * real
         back = slope @ o
         grads = [back @ c.T, r.T @ back, slope.T @ h, slope.sum(0)]
+        for k in (0, 2):
+            grads[k] = grads[k] - ridge / total * params[k]
         now = rate * (1 - (t - 1) / steps)
         for k, g in enumerate(grads):
             first[k] = 0.9 * first[k] + 0.1 * g
@@ -179,7 +182,7 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
             row += b.num_rows
             null = lambda t, m: pa.nulls(m, t)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(own), b.column(0), b.column(1), null(pa.string(), len(own)), pa.array(size + 1), pa.array(sums_by_text((place >= 0)[at], bounds).astype(np.int64) + (ends > 0)),
+                [pa.array(own), b.column(0), b.column(1), null(pa.string(), len(own)), pa.array(size.astype(np.int64) + 1), pa.array(sums_by_text((place >= 0)[at], bounds).astype(np.int64) + (ends > 0)),
                  pa.array(sums_by_text(base[at], bounds) + end_log - all_log), pa.array(score)],
                 names=["row", "doc_id", "held_out", "word", "n", "known", "base", "score"])
             rare = np.flatnonzero(place[at] < 0)
