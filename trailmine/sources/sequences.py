@@ -25,7 +25,7 @@ def event_sessions(spark: SparkSession, sf_dir: str, hours: int = 12) -> DataFra
     """A user's events, cut where more than ``hours`` pass."""
     rows = read(spark, sf_dir, "events").select("user_id", "ts", "event_id", "event_type")
     own = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    cut = (F.unix_micros("ts") - F.lag(F.unix_micros("ts")).over(own) > hours * 3_600_000_000).cast("long")
+    cut = (F.unix_micros(F.col("ts").cast("timestamp")) - F.lag(F.unix_micros(F.col("ts").cast("timestamp"))).over(own) > hours * 3_600_000_000).cast("long")
     rows = rows.withColumn("nth", F.sum(F.coalesce(cut, F.lit(0))).over(own))
     rows = rows.withColumn("s", F.col("user_id") * 1_000_000 + F.col("nth"))
     return collect_sequences(rows, "s", "event_type", "ts", "event_id")

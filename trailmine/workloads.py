@@ -114,7 +114,7 @@ def sql_chain(source: str, shapes: list, sigma: int) -> str:
             elif s.captured:
                 outs.append(f"p{k}.item")
         text = " || ' ' || ".join(f"replace({o}, ' ', '_')" for o in outs)
-        parts.append(f"SELECT p0.sid, {text} AS pattern, {len(outs)} AS length FROM {', '.join(tables)}" + (f" WHERE {' AND '.join(where)}" if where else ""))
+        parts.append(f"SELECT DISTINCT p0.sid, {text} AS pattern, {len(outs)} AS length FROM {', '.join(tables)}" + (f" WHERE {' AND '.join(where)}" if where else ""))
     return f"""{sql_front(source)}, found AS ({' UNION '.join(parts)})
 SELECT pattern, CAST(length AS INTEGER) AS length, count(*) AS freq FROM found GROUP BY pattern, length HAVING count(*) >= {sigma}"""
 
