@@ -339,7 +339,7 @@ def oracle_sql() -> dict[str, str]:
     out |= {f"flist_{s}": _flist_sql(s) for s in ("events", "baskets", "baskets_dag", "suppliers", "tokens")}
     out |= {f"lengths_{s}": _lengths_sql(s) for s in SPOTS if s != "baskets_dag"}
     out |= {f"hierarchy_closure_{s}": f"{sql_front(s)} SELECT child, anc FROM up" for s in ("events", "baskets_dag", "suppliers", "tokens")}
-    out["golden"] = "SELECT * FROM (VALUES ('A A A B', 4, 2), ('A B', 2, 2), ('A a1 A B', 4, 2), ('a1 B', 2, 2)) AS v(pattern, length, freq)"
+    out["golden"] = "SELECT pattern, CAST(length AS INTEGER) AS length, CAST(freq AS BIGINT) AS freq FROM (VALUES ('A A A B', 4, 2), ('A B', 2, 2), ('A a1 A B', 4, 2), ('a1 B', 2, 2)) AS v(pattern, length, freq)"
     out["topk_patterns"] = f"SELECT * FROM ({base['t1_tokens']}) ORDER BY freq DESC, pattern LIMIT 20"
     out["rollup_lengths"] = f"SELECT length, count(*) AS n_patterns, max(freq) AS max_freq FROM ({base['t1_tokens']}) GROUP BY length"
     return out
