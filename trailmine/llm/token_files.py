@@ -147,7 +147,7 @@ def read_token_files(manifest: DataFrame, base: str) -> DataFrame:
                 ids = pa.array(f.doc_ids, mask=f.doc_ids == NO_ID)
                 yield pa.RecordBatch.from_arrays([ids, pa.array(at[:-1] + first), pa.array(np.diff(at)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    todo = manifest.select("file", "start").repartition("file")
+    todo = manifest.select("file", "start").repartition(max(1, min(manifest.count(), 20_000)))
     return todo.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
