@@ -186,7 +186,8 @@ def read_captures(directory: DataFrame, base: str) -> DataFrame:
                 cols = [pa.array(c, t) for c, t in zip(map(list, zip(*out, strict=True)), (pa.int64(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.int64()), strict=True)]
                 yield pa.RecordBatch.from_arrays(cols, names=["page_id", "url", "payload_bytes", "payload_digest", "record_type", "refers_to"])
 
-    return directory.select("file", "offset", "length").repartition("file", "offset").mapInArrow(run, RECORD)
+    todo = directory.select("file", "offset", "length")
+    return todo.repartition(max(1, min(todo.count(), 20_000))).mapInArrow(run, RECORD)
 
 
 class CaptureIndex:
