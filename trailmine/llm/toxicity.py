@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from .common import bound_batches, documents, id_crc, whole_text
 
-SAMPLE = 4000
+SAMPLE = 2500
 SAMPLE_CHARS = 100_000
 LEAST_DOCS = 3
 STEPS = 80
@@ -80,6 +80,7 @@ def fit(texts: list[str], labels: np.ndarray, steps: int = STEPS, rate: float =
     inner = np.arange(len(spread)) - np.repeat(np.cumsum(sizes[doc_word % len(names)]) - sizes[doc_word % len(names)], sizes[doc_word % len(names)])
     had = feature[np.repeat(first_of, sizes[doc_word % len(names)]) + inner]
     often = np.bincount(np.unique(spread * len(coded) + had) % len(coded), minlength=len(coded)) >= LEAST_DOCS
+    del doc_word, spread, first_of, inner, had
     number = np.where(often, np.cumsum(often) - 1, -1)[feature]
     feature, of_name = number[number >= 0], of_name[number >= 0]
     word, sentence, total = at, word_sentence, len(names)
