@@ -28,9 +28,9 @@ from .common import bound_batches, documents, id_crc, whole_text
 SAMPLE = 2500
 SAMPLE_CHARS = 100_000
 LEAST_DOCS = 3
-STEPS = 80
-RATE = 0.25
-RIDGE = 3e-4
+STEPS = 120
+RATE = 0.15
+RIDGE = 4e-4
 PREFIXES = (4, 5)
 
 
