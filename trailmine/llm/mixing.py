@@ -108,20 +108,21 @@ def mixed_documents(docs: DataFrame, id_col: str = "doc_id", **params) -> DataFr
 
 
 def op8_curriculum_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mix(documents(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken", "position")
+    rows = mix(documents(spark, sf_dir))
+    return rows.select("doc_id", "size", "source_size", F.round("target", 3).alias("target"), "taken", F.round("position", 9).alias("position"))
 
 
 ORACLE_SQL = r"""
-WITH RECURSIVE s AS (
+WITH s AS (
   SELECT doc_id, source, md5(CAST(doc_id AS VARCHAR)) AS k,
-         len(list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), x -> x <> '')) AS size
+         len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS size
   FROM documents),
 p AS (
   SELECT source, sum(size) AS source_size, row_number() OVER (ORDER BY source NULLS LAST) AS nth
   FROM s GROUP BY source),
 w AS (
-  SELECT *, CASE (nth - 1) % 3 WHEN 0 THEN 5.0 WHEN 1 THEN 2.0 ELSE 1.0 END AS w,
-         CASE (nth - 1) % 3 WHEN 0 THEN -0.5 WHEN 1 THEN 0.0 ELSE 0.5 END AS a, 3.0 * source_size AS cap FROM p),
+  SELECT *, CASE (nth - 1) % 3 WHEN 0 THEN 5e0 WHEN 1 THEN 2e0 ELSE 1e0 END AS w,
+         CASE (nth - 1) % 3 WHEN 0 THEN -5e-1 WHEN 1 THEN 0e0 ELSE 5e-1 END AS a, 3e0 * source_size AS cap FROM p),
 l AS (
   SELECT *, (sum(source_size) OVER () - coalesce(sum(cap) OVER (ORDER BY cap / w, nth ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
          / sum(w) OVER (ORDER BY cap / w, nth ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS lam FROM w),
@@ -133,8 +134,12 @@ c AS (
          CAST(coalesce(sum(s.size) OVER (PARTITION BY s.source ORDER BY s.k, s.doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS cum
   FROM s JOIN t ON s.source IS NOT DISTINCT FROM t.source),
 f AS (
-  SELECT *, total // source_size AS passes FROM c)
-SELECT doc_id, CAST(size AS BIGINT) AS size, source_size, round(target, 3) AS target,
-       CAST(passes * size + least(greatest(total - passes * source_size - cum, 0), size) AS BIGINT) AS taken
-FROM f
+  SELECT *, CASE WHEN source_size > 0 THEN total // source_size ELSE 0 END AS passes FROM c),
+g AS (
+  SELECT *, CAST(passes * size + least(greatest(total - passes * source_size - cum, 0), size) AS BIGINT) AS taken,
+         cum / total AS share FROM f)
+SELECT doc_id, CAST(size AS BIGINT) AS size, source_size, round(target, 3) AS target, taken,
+       CASE WHEN taken > 0 THEN round(CASE WHEN a = 0 THEN share
+         ELSE abs((sqrt(greatest((1 - a) * (1 - a) + 4 * a * share, 0)) - (1 - a)) / (2 * a)) END, 9) END AS position
+FROM g
 """

@@ -123,3 +123,42 @@ def clean_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     cols = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "removed_lines", "removed_words"]
     return verdicts(documents(spark, sf_dir)).select(*cols)
+
+
+ORACLE_SQL = r"""
+WITH d AS (
+  SELECT row_number() OVER () AS r, doc_id, coalesce('=' || source, '~') AS host, coalesce(text, '') AS t,
+         regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w,
+         [x FOR x IN string_split(coalesce(text, ''), chr(10)) IF regexp_matches(x, '[^\x20\x09-\x0D]')] AS ls
+  FROM documents),
+grams AS (
+  SELECT r, i, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] AS g FROM (SELECT r, w, unnest(range(1, len(w) - 1)) AS i FROM d)),
+spots AS (
+  SELECT r, i FROM (SELECT *, count(*) OVER (PARTITION BY r, g) AS n FROM grams) WHERE n > 1),
+covered AS (
+  SELECT r, sum(gap) AS n FROM (SELECT r, least(3, coalesce(lead(i) OVER (PARTITION BY r ORDER BY i) - i, 3)) AS gap FROM spots) GROUP BY r),
+base AS (
+  SELECT d.r, d.doc_id, d.host, d.ls, len(w) AS n_words, length(array_to_string(w, '')) AS word_chars,
+         length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')) AS n_symbols,
+         len(ls) - len(list_distinct(ls)) AS n_dup_lines, coalesce(c.n, 0) AS n_repeat_words
+  FROM d LEFT JOIN covered c ON d.r = c.r),
+lines AS (
+  SELECT r, doc_id, host, lower(trim(regexp_replace(l, '[\x20\x09-\x0D]+', ' ', 'g'))) AS line,
+         len(regexp_extract_all(l, '[^\x20\x09-\x0D]+')) AS n
+  FROM (SELECT r, doc_id, host, unnest(ls) AS l FROM base)),
+hosts AS (SELECT host, count(*) AS docs FROM base GROUP BY host),
+frequent AS (
+  SELECT l.host, line, min(doc_id) AS first_id FROM lines l JOIN hosts h ON l.host = h.host
+  GROUP BY l.host, line, docs HAVING count(DISTINCT r) > 20 AND count(DISTINCT r) > 0.05 * docs),
+gone AS (
+  SELECT r, count(DISTINCT l.line) AS k, sum(n) AS n FROM lines l JOIN frequent f ON l.host = f.host AND l.line = f.line
+  WHERE doc_id IS DISTINCT FROM first_id GROUP BY r),
+out AS (
+  SELECT b.*, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed,
+         CAST(coalesce(g.k, 0) AS BIGINT) AS removed_lines, CAST(coalesce(g.n, 0) AS BIGINT) AS removed_words
+  FROM base b LEFT JOIN gone g ON b.r = g.r)
+SELECT doc_id, CAST(n_words AS BIGINT) AS n_words, CAST(word_chars AS BIGINT) AS word_chars, CAST(n_symbols AS BIGINT) AS n_symbols,
+       CAST(n_dup_lines AS BIGINT) AS n_dup_lines, CAST(n_repeat_words AS BIGINT) AS n_repeat_words, base_failed,
+       NOT base_failed AND 100 * removed_words <= 50 * n_words AS kept, removed_lines, removed_words
+FROM out
+"""

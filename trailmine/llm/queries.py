@@ -24,4 +24,9 @@ def queries():
 
 
 def oracle_sql():
-    return {"op1_warc_index": warc.ORACLE_SQL, "op9_exact_dedup": exact_dedup.ORACLE_SQL}
+    return {
+        "op1_warc_index": warc.ORACLE_SQL,
+        "op3_quality_rules": quality_rules.ORACLE_SQL,
+        "op8_curriculum_mixing": mixing.ORACLE_SQL,
+        "op9_exact_dedup": exact_dedup.ORACLE_SQL,
+    }
