@@ -124,6 +124,11 @@ def test_mixing(spark, which):
     assert spots == sorted(spots)
     again = mixing.mixed_documents(docs)
     assert again.columns == docs.columns
+    if which == "table":  # its ids are unique
+        at = {r["doc_id"]: (r["position"], r["doc_id"]) for r in got}
+        order = [r["doc_id"] for r in again.select("doc_id").collect()]
+        firsts = [at[i] for i in dict.fromkeys(order)]
+        assert firsts == sorted(firsts) and len(order) > len(firsts)
     assert mixing.mix(fx.none(spark)).count() == 0 == mixing.mixed_documents(fx.none(spark)).count()
 
 

@@ -60,11 +60,10 @@ def _position(share: Column, tilt: Column) -> Column:
     return F.when(tilt == 0, share).otherwise(root)
 
 
-def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source",
-        weights=WEIGHTS, tilts=TILTS, max_epochs: int = MAX_EPOCHS) -> DataFrame:
-    """``doc_id, source, size, source_size, target, taken, position``; ``position`` is that of
-    the first reading, null where nothing is taken. A source's taken words add up to its
-    target, rounded: whole passes over the source, then the head of one more pass."""
+def readings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source",
+             weights=WEIGHTS, tilts=TILTS, max_epochs: int = MAX_EPOCHS) -> DataFrame:
+    """``doc_id, source, size, source_size, target, tilt, total, cum, taken`` of every row:
+    ``cum`` is what the source's rows before it hold, ``total`` its target in whole words."""
     src = F.coalesce(F.concat(F.lit("="), F.col(source_col)), F.lit("~"))
     sizes = docs.select(
         F.col(id_col).alias("doc_id"),
@@ -89,22 +88,31 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     passes = F.when(F.col("source_size") > 0, F.floor(total / F.col("source_size"))).otherwise(F.lit(0)).cast("long")
     rest = total - passes * F.col("source_size")
     taken = passes * F.col("size") + F.least(F.greatest(rest - cum, F.lit(0)), F.col("size"))
-    out = rows.select(
-        "doc_id", "source", "size", "source_size", "target", taken.alias("taken"),
-        F.when(taken > 0, _position(cum / total, F.col("tilt"))).alias("position"),
-    )
+    return rows.select("doc_id", "source", "size", "source_size", "target", "tilt", total.alias("total"), cum.alias("cum"), taken.alias("taken"))
+
+
+def mix(docs: DataFrame, **params) -> DataFrame:
+    """``doc_id, source, size, source_size, target, taken, position``; ``position`` is that of
+    the first reading, null where nothing is taken. A source's taken words add up to its
+    target, rounded: whole passes over the source, then the head of one more pass."""
+    position = F.when(F.col("taken") > 0, _position(F.col("cum") / F.col("total"), F.col("tilt")))
+    out = readings(docs, **params).select("doc_id", "source", "size", "source_size", "target", "taken", position.alias("position"))
     return out.orderBy(F.col("position").asc_nulls_last(), "doc_id")
 
 
 def mixed_documents(docs: DataFrame, id_col: str = "doc_id", **params) -> DataFrame:
-    """The mix as documents: each as many times as its taken words make whole readings (the
-    one document at which a source's last pass ends is rounded); columns stay as they are.
-    Rows that repeat an id get the most readings that one of them has."""
-    plan = mix(docs, id_col=id_col, **params)
+    """The mix as documents in the order of training: each as many times as its taken words
+    make whole readings (the one document at which a source's last pass ends is rounded), the
+    n-th reading at the position of the n-th pass; columns stay as they are. Rows that repeat
+    an id get the readings of the one that has most."""
     copies = F.when(F.col("size") > 0, F.floor(F.col("taken") / F.col("size") + 0.5)).otherwise(0).cast("int")
-    plan = plan.groupBy(F.col("doc_id").alias("__id")).agg(F.max(copies).alias("__copies")).where("__copies > 0")
+    plan = readings(docs, id_col=id_col, **params).select(F.col("doc_id").alias("__id"), F.struct(copies.alias("copies"), "cum", "source_size", "total", "tilt").alias("__r"))
+    plan = plan.groupBy("__id").agg(F.max("__r").alias("__r")).where("__r.copies > 0")
     rows = docs.join(plan, docs[id_col].eqNullSafe(plan["__id"]))
-    return rows.withColumn("__nth", F.explode(F.sequence(F.lit(1), F.col("__copies")))).select(*docs.columns)
+    rows = rows.withColumn("__nth", F.explode(F.sequence(F.lit(0), F.col("__r.copies") - 1)))
+    share = (F.col("__nth") * F.col("__r.source_size") + F.col("__r.cum")) / F.col("__r.total")
+    rows = rows.withColumn("__at", _position(F.least(share, F.lit(1.0)), F.col("__r.tilt")))
+    return rows.orderBy("__at", "__id", "__nth").select(*docs.columns)
 
 
 def op8_curriculum_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
