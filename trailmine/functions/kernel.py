@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from bisect import bisect_left
+
 from ..plans.transducers import Transducer, plain_moves
 
 
@@ -17,7 +19,13 @@ class Kernel:
         self.t, self.up, self.ids, self.last = t, ancestors, ids, last
         self.sets = {w: frozenset(a) for w, a in ancestors.items()}
         self.cache: dict[tuple[int, int], list[tuple]] = {}
+        self.back: dict[tuple[frozenset, int], frozenset] = {}
         self.plain = plain_moves(t, self.matches, self.outputs, ancestors) if plain else None
+        waits = {q for q, ms in enumerate(t.moves) if any(i[0] == "any" and not o and to == q for i, o, to in ms)} if t.anywhere and not plain else set()
+        done = {q for q in t.finals if not t.moves[q]}
+        #: States that may wait anywhere and only lead to such or to the end: of an item after
+        #: them the first place does for all later ones.
+        self.leaps = {q for q in waits if all(to in waits or to in done for _, _, to in t.moves[q])}
 
     def matches(self, label: tuple, w: int) -> bool:
         if label[0] == "any":
@@ -51,14 +59,34 @@ class Kernel:
             found = self.cache[q, w] = list(dict.fromkeys(found))
         return found
 
-    def alive(self, items) -> list[set[int]]:
+    def alive(self, items) -> list[frozenset[int]]:
         """States from which acceptance can be reached, for each position."""
         n = len(items)
-        states = range(len(self.t.moves))
-        out = [set(self.t.finals) if self.t.anywhere or k == n else set() for k in range(n + 1)]
+        ends = frozenset(self.t.finals) if self.t.anywhere else frozenset()
+        out = [frozenset(self.t.finals)] * (n + 1)
         for k in range(n - 1, -1, -1):
-            nxt = out[k + 1]
-            out[k].update(q for q in states if any(to in nxt for _, to in self.step(q, items[k])))
+            key = (out[k + 1], items[k])
+            now = self.back.get(key)
+            if now is None:
+                now = self.back[key] = ends.union(q for q in range(len(self.t.moves)) if any(to in key[0] for _, to in self.step(q, items[k])))
+            out[k] = now
+        return out
+
+    def places(self, items) -> dict[int, list[int]]:
+        """Positions of each item, where the transducer has states that leap to them."""
+        out: dict[int, list[int]] = {}
+        if self.leaps:
+            for k, w in enumerate(items):
+                out.setdefault(w, []).append(k)
+        return out
+
+    def leap(self, q: int, at: int, places) -> list[tuple]:
+        """(output or None, next state, next position) from ``q``, at first places from ``at``."""
+        out = []
+        for w, ks in places.items():
+            k = bisect_left(ks, at)
+            if k < len(ks):
+                out += [(o, to, ks[k] + 1) for o, to in self.step(q, w) if o is not None or to != q]
         return out
 
     def accepts(self, items) -> bool:
@@ -73,6 +101,7 @@ class Kernel:
         """All outputs, each once, without the empty one; with ``wanted``, a set of prefixes,
         only outputs that stay within it."""
         alive, n, found = self.alive(items), len(items), set()
+        places, first = self.places(items), {}
         stack, seen = [(0, self.t.start, ())], set()
         while stack:
             state = stack.pop()
@@ -86,18 +115,24 @@ class Kernel:
                 found.add(out)
                 if limit is not None and len(found) > limit:
                     raise TooManyOutputs(f"over {limit} outputs of one sequence")
-            if at < n:
-                for o, to in self.step(q, items[at]):
-                    if to in alive[at + 1]:
-                        nxt = out if o is None else (*out, o)
-                        if wanted is None or o is None or nxt in wanted:
-                            stack.append((at + 1, to, nxt))
+            if q in self.leaps:
+                if first.get((q, out), n + 1) <= at:
+                    continue
+                first[q, out] = at
+                steps = self.leap(q, at, places)
+            else:
+                steps = [(o, to, at + 1) for o, to in self.step(q, items[at])] if at < n else ()
+            for o, to, k in steps:
+                if to in alive[k]:
+                    nxt = out if o is None else (*out, o)
+                    if wanted is None or o is None or nxt in wanted:
+                        stack.append((k, to, nxt))
         return found
 
-    def resume(self, items, snapshots, alive=None) -> tuple[bool, dict[int, set[tuple[int, int]]]]:
+    def resume(self, items, snapshots, alive=None, places=None) -> tuple[bool, dict[int, set[tuple[int, int]]]]:
         """From snapshots (position, state) of a prefix: whether the prefix itself is accepted,
         and the snapshots of each next output item."""
-        alive = alive or self.alive(items)
+        alive, places = alive or self.alive(items), places or self.places(items)
         n, accepted, children = len(items), False, {}
         stack, seen = list(snapshots), set(snapshots)
         while stack:
@@ -106,12 +141,12 @@ class Kernel:
                 accepted = True
             if at == n:
                 continue
-            for o, to in self.step(q, items[at]):
-                if to not in alive[at + 1]:
+            for o, to, k in self.leap(q, at, places) if q in self.leaps else [(o, to, at + 1) for o, to in self.step(q, items[at])]:
+                if to not in alive[k]:
                     continue
                 if o is not None:
-                    children.setdefault(o, set()).add((at + 1, to))
-                elif (at + 1, to) not in seen:
-                    seen.add((at + 1, to))
-                    stack.append((at + 1, to))
+                    children.setdefault(o, set()).add((k, to))
+                elif (k, to) not in seen:
+                    seen.add((k, to))
+                    stack.append((k, to))
         return accepted, children

@@ -124,14 +124,14 @@ def snapshot_growth(db: Database, t: Transducer, sigma: int, max_level: int = 10
             for batch in batches:
                 out = []
                 for sid, items, nodes, outs, snaps in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                    alive, accepts, cn, co, cs = None, [], [], [], []
+                    alive, places, accepts, cn, co, cs = None, None, [], [], [], []
                     for node, o, s in zip(nodes, outs, snaps, strict=True):
                         if keep is not None:
                             node = keep.get((node, o))
                             if node is None:
                                 continue
-                        alive = alive or k.alive(items)
-                        ok, children = k.resume(items, zip(s[::2], s[1::2]), alive)
+                        alive, places = alive or k.alive(items), places or k.places(items)
+                        ok, children = k.resume(items, zip(s[::2], s[1::2]), alive, places)
                         if ok and o:
                             accepts.append(node)
                         for w, at in children.items():

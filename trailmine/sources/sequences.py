@@ -58,10 +58,11 @@ def sentence_tokens(spark: SparkSession, sf_dir: str, lang: str = "en") -> DataF
     return rows.where(F.size("items") > 0)
 
 
-def letter_strings(spark: SparkSession, sf_dir: str, most: int = 600) -> DataFrame:
+def letter_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All letters a to z of each text."""
     docs = read(spark, sf_dir, "documents").select(F.col("doc_id").alias("sid"), "text")
     found = F.regexp_extract_all(F.lower("text"), F.lit("([a-z])"), F.lit(1))
-    return docs.select("sid", F.slice(found, 1, most).alias("items"))
+    return docs.select("sid", found.alias("items"))
 
 
 def role_turns(spark: SparkSession, sf_dir: str) -> DataFrame:
