@@ -71,3 +71,13 @@ def test_first_places_do_for_free_gaps(text):
                 nxt |= {(*out, w): sorted(c) for w, c in children.items()}
             level = nxt
         assert k.generate(items) == want == grown
+
+
+@pytest.mark.parametrize("name,most", [("a1_baskets", 5), ("a2_baskets", 5), ("a3_baskets", 4), ("a4_baskets", 5), ("a1_baskets_dag", 5)])
+def test_customer_workloads_have_all_lengths(name, most):
+    _, expression, _, shapes = WORKLOADS[name]
+    root = {"a3_baskets": "hot ring", "a4_baskets": "plate"}.get(name, "ring")
+    ids = {root: 1, "x": 2}
+    k = Kernel(compile_expression(expression, "anywhere"), {1: (1,), 2: (2,)}, ids)
+    found = {len(p) for p in k.generate([1] * 7)}
+    assert max(found) == most == max(sum(s.captured for s in slots) for slots, _ in shapes)
