@@ -122,3 +122,18 @@ def test_lm_is_normalised_and_learns_order():
     table = neural_lm.log_table(neural_lm.train(pairs, dims=6, steps=400))
     assert np.allclose((10.0**table).sum(1), 1, atol=1e-4)
     assert all(table[q].argmax() == (q + 1) % 6 for q in range(6))
+
+
+def test_toxicity_sample_keeps_the_share_of_labels(spark):
+    docs = spark.createDataFrame([(i, "bad words" if i % 9 == 0 else "good words") for i in range(3000)], "doc_id long, text string")
+    labels = docs.selectExpr("doc_id", "cast(doc_id % 9 = 0 AS int) AS toxic", "1 AS quality")
+    _, y, every = toxicity.training_sample(docs, labels)
+    for sample in (20, 100, 1000):
+        texts, labels_of, weights = toxicity.training_sample(docs, labels, sample=sample)
+        assert max(np.bincount(labels_of)) <= sample
+        assert weights @ labels_of / weights.sum() == pytest.approx(y.mean()) and weights.sum() == pytest.approx(len(y))
+    assert (every == 1).all()
+    # no word tells: the score is the prior, not the sample's share
+    flat = toxicity.fit(["same"] * 200, np.repeat([1, 0], 100), np.repeat([1.0, 9.0], 100))
+    _, z, _ = toxicity.sentence_logits(pa.array(["other"]), flat)
+    assert 1 / (1 + np.exp(-z[0])) < 0.3

@@ -7,7 +7,9 @@ is trained through the noisy-or by gradient steps in numpy, and then also locate
 sentences that make a document toxic. Only the words of the text enter a score.
 
 The model is fitted on a bounded sample of labelled documents: by hash of the id, at most
-``SAMPLE`` of each label, none longer than ``SAMPLE_CHARS``. Scoring covers all whole texts.
+``SAMPLE`` of each label, none longer than ``SAMPLE_CHARS``. A sampled document weighs as many as
+it stands for, so the share of toxic ones is that of all labelled documents, whatever the bound.
+Scoring covers all whole texts.
 
 Defined cases: a null or empty text has one empty sentence; a label row repeated for an id
 counts once, toxic if any is; null labels are left out; with one class or no labelled
@@ -61,9 +63,12 @@ def noisy_or(logits: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
     return np.bincount(owner, np.logaddexp(0, logits), n)
 
 
-def fit(texts: list[str], labels: np.ndarray, steps: int = STEPS, rate: float = RATE, ridge: float = RIDGE) -> dict:
-    """``{"bias", "words": {word: weight}}`` from document labels."""
+def fit(texts: list[str], labels: np.ndarray, weights: np.ndarray | None = None, steps: int = STEPS, rate: float = RATE, ridge: float = RIDGE) -> dict:
+    """``{"bias", "words": {word: weight}}`` from document labels; ``weights``: documents that
+    each one stands for."""
     y, n = np.asarray(labels, float), len(texts)
+    each = np.ones(n) if weights is None else np.asarray(weights, float)
+    each = each / max(each.sum(), 1e-9)
     if n == 0 or y.min() == y.max():
         return {"bias": -20.0 if n == 0 or y.max() == 0 else 20.0, "words": {}}
     parts, doc_bounds = sentences(pa.array(texts, pa.string()))
@@ -85,14 +90,15 @@ def fit(texts: list[str], labels: np.ndarray, steps: int = STEPS, rate: float =
     feature, of_name = number[number >= 0], of_name[number >= 0]
     word, sentence, total = at, word_sentence, len(names)
     m, k = int(often.sum()), len(parts)
-    w, b = np.zeros(m), float(np.log(y.mean() / (k / n)))
+    w, b = np.zeros(m), float(np.log(each @ y / (each @ np.diff(doc_bounds))))
     first, second = np.zeros(m + 1), np.zeros(m + 1)
     for t in range(1, steps + 1):
         z = b + np.bincount(sentence, np.bincount(of_name, w[feature], total)[word], k)
         p = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
         toxic = -np.expm1(-noisy_or(z, sentence_doc, n))
         # of -log likelihood by a sentence's logit: p if the label is 0, -p (1 - P) / P if 1
-        slope = np.where(y == 1, -(1 - toxic) / np.maximum(toxic, 1e-9), 1.0)[sentence_doc] * p / n
+        slope = np.where(y == 1, -(1 - toxic) / np.maximum(toxic, 1e-9), 1.0)
+        slope = (each * slope)[sentence_doc] * p
         by_name = np.bincount(word, slope[sentence], total)
         g = np.append(np.bincount(feature, by_name[of_name], m) + ridge * w, slope.sum())
         first, second = 0.9 * first + 0.1 * g, 0.999 * second + 0.001 * g * g
@@ -111,18 +117,20 @@ def sentence_logits(texts: pa.Array, model: dict) -> tuple[pa.Array, np.ndarray,
     return parts, model["bias"] + np.bincount(_owners(word_bounds), weight, len(parts)), bounds
 
 
-def training_sample(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", sample: int = SAMPLE) -> tuple[list[str], np.ndarray]:
-    """Texts and labels, at most ``sample`` of each label, of ids whose crc32 mod 5 is not 0."""
+def training_sample(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", sample: int = SAMPLE) -> tuple[list[str], np.ndarray, np.ndarray]:
+    """Texts, labels and weights, at most ``sample`` of each label, of ids whose crc32 mod 5 is
+    not 0. The weight is the label's documents over those sampled."""
     known = labels.where("toxic IS NOT NULL AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     known = known.where(F.pmod(id_crc("doc_id"), F.lit(5)) != 0)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), whole_text(F.col(text_col)).alias("text"))
-    got: list[tuple[str, int]] = []
+    got: list[tuple[str, int, float]] = []
+    all_ = dict(known.groupBy((F.col("toxic") > 0).cast("int")).count().collect())
     for label in (1, 0):
         some = known.where((F.col("toxic") > 0) == bool(label)).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
         rows = texts.join(F.broadcast(some), "doc_id").where(F.length("text") <= SAMPLE_CHARS)
         rows = rows.orderBy("doc_id", "text").select("text").toArrow()["text"].to_pylist()
-        got += [(t, label) for t in rows]
-    return [t for t, _ in got], np.array([y for _, y in got])
+        got += [(t, label, all_.get(label, 0) / min(sample, all_.get(label, 1))) for t in rows]
+    return [t for t, _, _ in got], np.array([y for _, y, _ in got]), np.array([x for _, _, x in got])
 
 
 def score_documents(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
