@@ -188,3 +188,11 @@ def test_chat_windows(spark, budget, history):
         learnt = "".join(r["loss"])
         assert (len(r["turns"]), hashlib.sha256(said.encode()).hexdigest(), len(learnt), hashlib.sha256(learnt.encode()).hexdigest()) == want[c][1:]
     assert chat_format.format_windows(df.limit(0)).count() == 0
+
+
+def test_quality_limit_does_not_grow_with_the_host(spark):
+    own = lambda i: "\n".join(" ".join(f"d{i}l{k}w{j}" for j in range(20)) for k in range(5))
+    docs = [(i, own(i) + ("\nread more of this here" if i < 22 else ""), "hot") for i in range(600)]
+    df = spark.createDataFrame(docs, "doc_id long, text string, source string")
+    out = {r["doc_id"]: r["text"] for r in quality_rules.clean_documents(df).collect()}
+    assert len(out) == 600 and all(out[i] == own(i) for i in range(1, 600)) and out[0] != own(0)

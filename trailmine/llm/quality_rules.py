@@ -2,8 +2,9 @@
 
 Base rules look at one text. The cross-document rule normalises every line (lower case,
 white space collapsed), hashes it, and counts for each host (column ``source``) the documents
-that hold the line. A line is above the limit if more than ``max(min_docs, share * documents
-of the host)`` documents hold it; it is removed everywhere but in the document with the
+that hold the line. A line is above the limit if more than ``min_docs`` documents of its host
+hold it, however large the host (a ``share`` of the host's documents can be asked for besides,
+but no query does); it is removed everywhere but in the document with the
 smallest id, so that of a group of copies one keeps its text. A document is depleted, and
 rejected, if the removed lines held more than ``depleted`` percent of its words.
 
@@ -26,7 +27,6 @@ from .common import SPACES, documents, materialize, whole_text, words
 MIN_WORDS = 50
 MAX_REPEATED_PERCENT = 50
 MIN_DOCS = 20
-HOST_SHARE = 0.05
 DEPLETED_PERCENT = 50
 SYMBOLS = r"[^#*$%&|<>]+"
 
@@ -76,18 +76,20 @@ def base_measures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     )
 
 
-def frequent_lines(measures: DataFrame, min_docs: int = MIN_DOCS, share: float = HOST_SHARE) -> DataFrame:
+def frequent_lines(measures: DataFrame, min_docs: int = MIN_DOCS, share: float = 0.0) -> DataFrame:
     """``__host, key, n_docs, first_id`` of the lines above their host's limit."""
     lines = measures.select("doc_id", "__host", F.explode(F.array_distinct(F.transform("__lines", lambda x: x["key"]))).alias("key"))
     counts = lines.groupBy("__host", "key").agg(F.count(F.lit(1)).alias("n_docs"), F.min("doc_id").alias("first_id"))
     counts = counts.where(F.col("n_docs") > min_docs)
+    if not share:
+        return counts.select("__host", "key", "n_docs", "first_id")
     hosts = measures.groupBy(F.col("__host").alias("__h")).agg(F.count(F.lit(1)).alias("host_docs"))
     rows = counts.join(hosts, counts["__host"].eqNullSafe(hosts["__h"])).where(F.col("n_docs") > share * F.col("host_docs"))
     return rows.select("__host", "key", "n_docs", "first_id")
 
 
 def verdicts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source",
-             min_docs: int = MIN_DOCS, share: float = HOST_SHARE, depleted: int = DEPLETED_PERCENT) -> DataFrame:
+             min_docs: int = MIN_DOCS, share: float = 0.0, depleted: int = DEPLETED_PERCENT) -> DataFrame:
     """One row per document: the measures, ``removed_lines`` (distinct), ``removed_words``,
     ``removed_keys``, ``kept``."""
     base = base_measures(docs, id_col, text_col, host_col).withColumn("__row", F.monotonically_increasing_id())
