@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 from tests.llm import fixtures as fx
-from trailmine.llm import mixing, quality_rules
+from trailmine.llm import mixing, quality_rules, simhash
 from trailmine.llm.common import materialize
 
 
@@ -29,3 +29,13 @@ def test_stages(spark):
     out = corpus_pipeline.STAGES[-1][1](spark, docs, fx.SF)
     assert out.where("piece = 0").count() == counts[-1]
     assert out.groupBy("sequence_id").agg(F.sum("length").alias("n")).where("n > 4096").count() == 0
+
+
+def test_rows_without_an_id_or_with_the_same_are_decided_alone(spark):
+    own = lambda i: " ".join(f"d{i}w{j}" for j in range(80))
+    rows = [(1, own(1)), (None, own(1)), (None, own(2)), (None, own(3)), (None, "bad"), (5, own(5)), (5, "worse"), (9, own(9)), (5, own(1)), (5, own(6))]
+    docs = spark.createDataFrame([(i, t, "h") for i, t in rows], "doc_id long, text string, source string")
+    bag = lambda df: Counter((r["doc_id"], r["text"]) for r in df.collect())
+    good = [r for r in rows if r[1] not in ("bad", "worse")]
+    assert bag(quality_rules.clean_documents(docs)) == Counter(good)
+    assert bag(simhash.drop_near_duplicates(docs.where("length(text) > 9"))) == Counter(r for r in good if r not in ((None, own(1)), (5, own(1))))

@@ -48,6 +48,11 @@ def whole_text(text: Column | str = "text") -> Column:
     return F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit(""))
 
 
+def text_digest(text: Column | str = "text") -> Column:
+    """16 bytes that, with the id, tell rows apart that share an id or have none."""
+    return F.unhex(F.md5(whole_text(text).cast("binary")))
+
+
 def words(text: Column | str = "text") -> Column:
     """Words of a text: runs of anything but the contract's white space."""
     return F.array_remove(F.split(whole_text(text), SPACES), "")

@@ -13,7 +13,8 @@ count per (host, line) is aggregated map-side before the shuffle, so neither a h
 hot line gathers in one task. Line hashes are 64 bits wide, taken with the host as key.
 
 Defined cases: a null text is empty and fails the base rules; a null source is a host of its
-own; rows that repeat an id count as documents of their own and get the same verdict; lines
+own; rows that repeat an id, or have none, count as documents of their own, and those with the
+same id, host and text get the same verdict; lines
 without a word are never counted; an empty table gives an empty result.
 """
 
@@ -22,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import SPACES, documents, materialize, whole_text, words
+from .common import SPACES, documents, materialize, text_digest, whole_text, words
 
 MIN_WORDS = 50
 MAX_REPEATED_PERCENT = 50
@@ -42,12 +43,13 @@ def _repeated(hashes: Column) -> Column:
 
 
 def base_measures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source") -> DataFrame:
-    """``doc_id, __host, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
+    """``doc_id, __host, __digest, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
     base_failed, __lines``; ``__lines`` has (key, words) of each distinct line with a word."""
     text = whole_text(F.col(text_col))
     step = docs.select(
         F.col(id_col).alias("doc_id"),
         F.col(host_col).alias("__host"),
+        text_digest(text).alias("__digest"),
         words(text).alias("w"),
         F.length(F.regexp_replace(text, SYMBOLS, "")).cast("long").alias("n_symbols"),
         F.filter(F.split(text, "\n"), lambda x: F.length(F.regexp_replace(x, SPACES, "")) > 0).alias("lines"),
@@ -55,7 +57,7 @@ def base_measures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     spots = F.sequence(F.lit(1), F.size("w") - 2)
     window = lambda i: F.xxhash64(F.get("w", i - 1), F.get("w", i), F.get("w", i + 1))
     step = step.select(
-        "doc_id", "__host", "n_symbols", "lines",
+        "doc_id", "__host", "__digest", "n_symbols", "lines",
         F.size("w").cast("long").alias("n_words"),
         F.length(F.array_join("w", "")).cast("long").alias("word_chars"),
         F.when(F.size("w") >= 4, F.transform(spots, window)).otherwise(F.array().cast("array<long>")).alias("h"),
@@ -70,7 +72,7 @@ def base_measures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     keyed = F.transform("lines", lambda x: F.struct(_line_key(x).alias("key"), F.size(words(x)).alias("n")))
     failed = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEATED_PERCENT * F.col("n_words"))
     return step.select(
-        "doc_id", "__host", "n_words", "word_chars", "n_symbols",
+        "doc_id", "__host", "__digest", "n_words", "word_chars", "n_symbols",
         (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
         "n_repeat_words", failed.alias("base_failed"), keyed.alias("__lines"),
     )
@@ -111,10 +113,10 @@ def clean_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """The documents that stay, with their columns; lines above the limit are taken out of
     their texts, and ``n_chars``, where there is such a column, is that of the new text."""
     v = verdicts(docs, id_col, text_col, host_col, **limits).where("NOT kept OR removed_lines > 0")
-    v = v.groupBy(F.col("doc_id").alias("__id"), F.col("__host").alias("__h"), "n_words", "word_chars", "n_symbols")
+    v = v.groupBy(F.col("doc_id").alias("__id"), F.col("__host").alias("__h"), F.col("__digest").alias("__d"))
     v = v.agg(F.min("kept").alias("__kept"), F.first("removed_keys").alias("__keys"))
     v = materialize(v, "verdicts")
-    same = docs[id_col].eqNullSafe(v["__id"]) & docs[host_col].eqNullSafe(v["__h"])
+    same = docs[id_col].eqNullSafe(v["__id"]) & docs[host_col].eqNullSafe(v["__h"]) & (text_digest(docs[text_col]) == v["__d"])
     rows = docs.join(v, same, "left").where(F.coalesce("__kept", F.lit(True)))
     text = F.array_join(F.filter(F.split(F.col(text_col), "\n"), lambda x: ~F.array_contains("__keys", _line_key(x))), "\n")
     cut = F.size("__keys") > 0

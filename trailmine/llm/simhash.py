@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bound_batches, documents, materialize, whole_text
+from .common import bound_batches, documents, materialize, text_digest, whole_text
 from .components import components
 
 SHINGLE = 3
@@ -55,16 +55,16 @@ def fingerprint(text: bytes, shingle: int = SHINGLE) -> int:
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE) -> DataFrame:
-    """``doc_id, fp``; the 64 bits as a signed long."""
+    """``doc_id, fp, digest``; the 64 bits as a signed long, and the text's digest."""
     bound_batches(docs.sparkSession)
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), whole_text(F.col(text_col)).cast("binary").alias("text"))
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), whole_text(F.col(text_col)).cast("binary").alias("text"), text_digest(F.col(text_col)).alias("digest"))
 
     def run(batches):
         for b in batches:
             fps = np.array([fingerprint(t.as_py(), shingle) for t in b.column(1)], dtype=np.uint64)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64))], names=["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64)), b.column(2)], names=["doc_id", "fp", "digest"])
 
-    return rows.mapInArrow(run, "doc_id long, fp long")
+    return rows.mapInArrow(run, "doc_id long, fp long, digest binary")
 
 
 def masks(bits: int, most: int) -> list[tuple[int, int]]:
@@ -212,7 +212,7 @@ def links(dealt: DataFrame) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, cell_rows: int = CELL_ROWS) -> DataFrame:
-    """``doc_id, fp, component_id, n_linked``: the smallest id reachable over links at three
+    """``doc_id, fp, component_id, n_linked, digest``: the smallest id reachable over links at three
     bits or fewer, and the number of documents in the component."""
     marks = materialize(fingerprints(docs, id_col, text_col, shingle), "fingerprints")
     fps = materialize(marks.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")), "distinct")
@@ -221,15 +221,17 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     rooted = fps.join(trees, fps["fp"] == trees["node"], "left").select("fp", "least", "n", F.coalesce("root", "fp").alias("root"))
     named = rooted.groupBy("root").agg(F.min("least").alias("component_id"), F.sum("n").alias("n_linked"))
     named = materialize(rooted.join(named, "root").select("fp", "component_id", "n_linked"), "named")
-    return marks.join(named, "fp").select("doc_id", "fp", "component_id", "n_linked")
+    return marks.join(named, "fp").select("doc_id", "fp", "component_id", "n_linked", "digest")
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE) -> DataFrame:
-    """The documents without those that a smaller id of their component stands for; rows that
-    repeat an id are one document, and components without any id stay."""
+    """The documents without those that a smaller id of their component stands for. Rows are
+    told apart by id and text, so one of several without an id, or with the same, goes alone;
+    components without any id stay."""
     found = near_duplicates(docs, id_col, text_col, shingle)
-    lost = found.where("component_id IS NOT NULL AND NOT doc_id <=> component_id").select(F.col("doc_id").alias("__id")).distinct()
-    return docs.join(materialize(lost, "lost"), docs[id_col].eqNullSafe(F.col("__id")), "left_anti")
+    lost = found.where("component_id IS NOT NULL AND NOT doc_id <=> component_id").select(F.col("doc_id").alias("__id"), F.col("digest").alias("__d")).distinct()
+    lost = materialize(lost, "lost")
+    return docs.join(lost, docs[id_col].eqNullSafe(lost["__id"]) & (text_digest(docs[text_col]) == lost["__d"]), "left_anti")
 
 
 def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
