@@ -78,8 +78,12 @@ def test_quality(spark, which, min_docs, share):
     v = quality_rules.verdicts(docs, min_docs=min_docs, share=share)
     got = v.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
     assert Counter(tuple(r) for r in got.collect()) == want
+    joined = quality_rules.verdicts(docs, min_docs=min_docs, share=share, host_lines=-1)
+    assert Counter(map(tuple, joined.select(got.columns).collect())) == want
     clean = quality_rules.clean_documents(docs, min_docs=min_docs, share=share)
     assert clean.columns == docs.columns
+    bag = lambda df: Counter((r["doc_id"], r["text"], r["n_chars"]) for r in df.collect())
+    assert bag(clean) == bag(quality_rules.clean_documents(docs, min_docs=min_docs, share=share, host_lines=-1))
     assert Counter(r["doc_id"] for r in clean.collect()) == Counter(k[0] for k, n in want.items() for _ in range(n) if k[-1])
 
 

@@ -11,17 +11,29 @@ from pyspark.sql import functions as F
 SPACES = r"[\x20\x09-\x0D]+"
 
 
+_BASES: dict[str, str] = {}
+
+
 def scratch_dir(spark: SparkSession) -> str:
-    """A fresh folder under ``spark.checkpoint.dir``, which driver and executors share.
+    """A fresh folder under ``spark.checkpoint.dir``, which driver and executors share. All of a
+    session's folders are removed when the driver's JVM ends.
 
     Only a local session without that setting falls back to a folder of its own.
     """
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        if not spark.sparkContext.master.startswith("local"):
-            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-        base = "file:///tmp/checkpoints"
-    return f"{base.rstrip('/')}/trailmine-{uuid.uuid4().hex}"
+    app = spark.sparkContext.applicationId
+    if app not in _BASES:
+        base = spark.conf.get("spark.checkpoint.dir", None)
+        if not base:
+            if not spark.sparkContext.master.startswith("local"):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+            base = "file:///tmp/checkpoints"
+        own = f"{base.rstrip('/')}/trailmine-{uuid.uuid4().hex}"
+        path = spark._jvm.org.apache.hadoop.fs.Path(own)
+        store = path.getFileSystem(spark._jsc.hadoopConfiguration())
+        store.mkdirs(path)
+        store.deleteOnExit(path)
+        _BASES[app] = own
+    return f"{_BASES[app]}/{uuid.uuid4().hex}"
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:
@@ -48,6 +60,24 @@ def whole_text(text: Column | str = "text") -> Column:
     return F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit(""))
 
 
+def whole_row(docs: DataFrame) -> Column:
+    """All columns as one struct, so that no name of an operator's own can clash with them."""
+    return F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+
+
+def fence(df: DataFrame) -> DataFrame:
+    """``df``, whose columns a filter above is not rewritten into: it would compute them again,
+    and those that stand inside a function over an array once for each element."""
+    return df.select(F.inline(F.array(F.struct(*df.columns))))
+
+
+def find_last(values: Column, key: Column, most: int) -> Column:
+    """Index of the last of the sorted ``values``, at most ``most``, that is not above ``key``; -1
+    if there is none. By bisection, inside the row."""
+    steps = F.array(*[F.lit(1 << k) for k in reversed(range(max(1, most.bit_length())))])
+    return F.aggregate(steps, F.lit(-1), lambda at, step: F.when(F.get(values, at + step) <= key, at + step).otherwise(at))
+
+
 def text_digest(text: Column | str = "text") -> Column:
     """16 bytes that, with the id, tell rows apart that share an id or have none."""
     return F.unhex(F.md5(whole_text(text).cast("binary")))

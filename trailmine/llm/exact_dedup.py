@@ -8,8 +8,8 @@ goes through an ordinary shuffle on the digest.
 
 Defined cases: a null text is an empty one; of equal texts the row with the most code points
 stays, then the smallest ``doc_id`` (null last); of rows that repeat the winner's id exactly
-one stays; an empty table gives an empty result; other columns are ignored by
-``dedup_decisions`` and carried by ``drop_duplicates``.
+one stays; a text of any length is digested whole; an empty table gives an empty result; other
+columns are ignored by ``dedup_decisions`` and carried, under any name, by ``drop_duplicates``.
 """
 
 from __future__ import annotations
@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import SPACES, documents, materialize, whole_text
+from .common import SPACES, documents, materialize, whole_row, whole_text
 
 #: Counters of the Misra-Gries summary: bound of the broadcast table.
 HEAVY_SLOTS = 1024
@@ -28,13 +28,13 @@ def text_digest(text: Column | str = "text") -> Column:
     return F.sha2(F.regexp_replace(whole_text(text), SPACES, "").cast("binary"), 256)
 
 
-def _keyed(docs: DataFrame, id_col: str, text_col: str) -> list[Column]:
+def _keyed(id_col: str, text_col: str) -> list[Column]:
     return [
-        text_digest(F.col(text_col)).alias("__digest"),
+        text_digest(F.col(f"`{text_col}`")).alias("__digest"),
         F.struct(
-            (-F.length(whole_text(F.col(text_col)))).alias("neg"),
-            F.col(id_col).isNull().alias("none"),
-            F.col(id_col).alias("id"),
+            (-F.length(whole_text(F.col(f"`{text_col}`")))).alias("neg"),
+            F.col(f"`{id_col}`").isNull().alias("none"),
+            F.col(f"`{id_col}`").alias("id"),
         ).alias("__rank"),
     ]
 
@@ -50,7 +50,7 @@ def heavy_winners(keyed: DataFrame, slots: int = HEAVY_SLOTS) -> DataFrame:
 
 def dedup_decisions(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", slots: int = HEAVY_SLOTS) -> DataFrame:
     """One row per document: ``doc_id, keep_id, group_size, kept, text_sha256``."""
-    keyed = materialize(docs.select(*_keyed(docs, id_col, text_col)), "digests")
+    keyed = materialize(docs.select(*_keyed(id_col, text_col)), "digests")
     rows = keyed.join(F.broadcast(heavy_winners(keyed, slots)), "__digest", "left")
     lost = F.coalesce(F.col("__rank") != F.col("__best"), F.lit(False))
     group = Window.partitionBy("__digest")
@@ -74,12 +74,12 @@ def dedup_decisions(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 def drop_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", slots: int = HEAVY_SLOTS) -> DataFrame:
     """The documents that stay, with all their columns."""
-    keyed = materialize(docs.select(*_keyed(docs, id_col, text_col)), "digests")
+    keyed = materialize(docs.select(*_keyed(id_col, text_col)), "digests")
     heavy = heavy_winners(keyed, slots)
-    rows = docs.select("*", *_keyed(docs, id_col, text_col)).join(F.broadcast(heavy), "__digest", "left")
+    rows = docs.select(whole_row(docs).alias("row"), *_keyed(id_col, text_col)).join(F.broadcast(heavy), "__digest", "left")
     rows = rows.where(F.coalesce(F.col("__rank") == F.col("__best"), F.lit(True)))
     first = F.row_number().over(Window.partitionBy("__digest").orderBy("__rank"))
-    return rows.withColumn("__nth", first).where("__nth = 1").select(*docs.columns)
+    return rows.withColumn("__nth", first).where("__nth = 1").select("row.*")
 
 
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -11,8 +11,18 @@ Order within a source is the md5 of the id. Word counts are summed in two levels
 bounded number of hash buckets of a source and then within a bucket, so that a source with a
 third of all rows is spread over many tasks.
 
+``mixed_documents`` shuffles the texts once. Training time is cut into slices; from the narrow
+table of sizes follows, for each source and pass, with which document each slice begins. These
+beginnings are broadcast (at most ``MOST_STARTS``), every document finds its slices by bisection
+where it is read and goes there, and within a slice its exact position follows from the sizes
+before it. Beyond that bound documents get a key in a written table, are joined with their
+positions by it and range-sorted, which shuffles the texts twice. Both ways give the same rows in
+the same order.
+
 Defined cases: null texts have size 0 and are not taken; null source is a source of its own,
-last in order; equal ids are ordered by size; an empty table gives an empty result.
+last in order; rows that repeat an id, or have none, are documents of their own, ordered by
+size; a text of any length counts whole; other columns are ignored by ``mix`` and carried, under
+any name, by ``mixed_documents``; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -22,13 +32,15 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import documents, materialize, words
+from .common import documents, find_last, materialize, whole_row, words
 
 WEIGHTS = (5.0, 2.0, 1.0)
 TILTS = (-0.5, 0.0, 0.5)
 MAX_EPOCHS = 3
 #: Rows that one hash bucket of a source shall hold, about.
 BUCKET_ROWS = 20_000
+#: Beginnings of slices (source, pass, slice) that are broadcast, under 100 bytes each.
+MOST_STARTS = 1 << 18
 
 
 def source_targets(sizes: DataFrame, weights=WEIGHTS, tilts=TILTS, max_epochs: int = MAX_EPOCHS) -> DataFrame:
@@ -60,18 +72,27 @@ def _position(share: Column, tilt: Column) -> Column:
     return F.when(tilt == 0, share).otherwise(root)
 
 
+def _source(source_col: str) -> Column:
+    return F.coalesce(F.concat(F.lit("="), F.col(f"`{source_col}`").cast("string")), F.lit("~"))
+
+
+def _key(id_col: str) -> Column:
+    return F.md5(F.coalesce(F.col(f"`{id_col}`").cast("string"), F.lit("")).cast("binary"))
+
+
+def _size(text_col: str) -> Column:
+    return F.size(words(F.col(f"`{text_col}`"))).cast("long")
+
+
 def readings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source",
-             weights=WEIGHTS, tilts=TILTS, max_epochs: int = MAX_EPOCHS) -> DataFrame:
-    """``doc_id, source, size, source_size, target, tilt, total, cum, taken`` of every row:
-    ``cum`` is what the source's rows before it hold, ``total`` its target in whole words."""
-    src = F.coalesce(F.concat(F.lit("="), F.col(source_col)), F.lit("~"))
+             weights=WEIGHTS, tilts=TILTS, max_epochs: int = MAX_EPOCHS, carry: tuple[str, ...] = ()) -> DataFrame:
+    """``doc_id, source, size, source_size, target, tilt, total, cum, taken`` of every row, and
+    ``carry``: ``cum`` is what the source's rows before it hold, ``total`` its target in whole
+    words. ``__src, __bucket, __key`` tell its place in the order."""
     sizes = docs.select(
-        F.col(id_col).alias("doc_id"),
-        F.col(source_col).alias("source"),
-        src.alias("__src"),
-        F.size(words(F.col(text_col))).cast("long").alias("size"),
-        F.md5(F.coalesce(F.col(id_col).cast("string"), F.lit("")).cast("binary")).alias("__key"),
-    )
+        F.col(f"`{id_col}`").alias("doc_id"), F.col(f"`{source_col}`").alias("source"),
+        _source(source_col).alias("__src"), _size(text_col).alias("size"), _key(id_col).alias("__key"), *carry,
+    )
     sizes = materialize(sizes, "sizes")
     targets = materialize(source_targets(sizes, weights, tilts, max_epochs), "targets")
     most = targets.agg(F.max("n_rows")).first()[0] or 1
@@ -84,11 +105,26 @@ def readings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", so
     within = within.rowsBetween(Window.unboundedPreceding, Window.currentRow)
     rows = rows.withColumn("__cum", F.sum("size").over(within) - F.col("size"))
     rows = rows.join(heads, ["__src", "__bucket"])
-    cum, total = F.col("__head") + F.col("__cum"), F.round("target").cast("long")
-    passes = F.when(F.col("source_size") > 0, F.floor(total / F.col("source_size"))).otherwise(F.lit(0)).cast("long")
-    rest = total - passes * F.col("source_size")
-    taken = passes * F.col("size") + F.least(F.greatest(rest - cum, F.lit(0)), F.col("size"))
-    return rows.select("doc_id", "source", "size", "source_size", "target", "tilt", total.alias("total"), cum.alias("cum"), taken.alias("taken"))
+    rows = rows.withColumn("cum", F.col("__head") + F.col("__cum")).withColumn("total", F.round("target").cast("long"))
+    return rows.select("doc_id", "source", "size", "source_size", "target", "tilt", "total", "cum", _taken().alias("taken"), "__src", "__bucket", "__key", *carry)
+
+
+def _taken() -> Column:
+    """Words that the mix takes of a row with ``size, cum, source_size, total``."""
+    passes = F.when(F.col("source_size") > 0, F.floor(F.col("total") / F.col("source_size"))).otherwise(F.lit(0)).cast("long")
+    rest = F.col("total") - passes * F.col("source_size")
+    return passes * F.col("size") + F.least(F.greatest(rest - F.col("cum"), F.lit(0)), F.col("size"))
+
+
+def _copies() -> Column:
+    """Whole readings: the one document at which a source's last pass ends is rounded."""
+    return F.when(F.col("size") > 0, F.floor(_taken() / F.col("size") + 0.5)).otherwise(0).cast("int")
+
+
+def _at() -> Column:
+    """Position of reading ``nth``."""
+    share = (F.col("nth") * F.col("source_size") + F.col("cum")) / F.col("total")
+    return _position(F.least(share, F.lit(1.0)), F.col("tilt"))
 
 
 def mix(docs: DataFrame, **params) -> DataFrame:
@@ -100,19 +136,48 @@ def mix(docs: DataFrame, **params) -> DataFrame:
     return out.orderBy(F.col("position").asc_nulls_last(), "doc_id")
 
 
-def mixed_documents(docs: DataFrame, id_col: str = "doc_id", **params) -> DataFrame:
+def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source",
+                    weights=WEIGHTS, tilts=TILTS, max_epochs: int = MAX_EPOCHS, most_starts: int = MOST_STARTS) -> DataFrame:
     """The mix as documents in the order of training: each as many times as its taken words
-    make whole readings (the one document at which a source's last pass ends is rounded), the
-    n-th reading at the position of the n-th pass; columns stay as they are. Rows that repeat
-    an id get the readings of the one that has most."""
-    copies = F.when(F.col("size") > 0, F.floor(F.col("taken") / F.col("size") + 0.5)).otherwise(0).cast("int")
-    plan = readings(docs, id_col=id_col, **params).select(F.col("doc_id").alias("__id"), F.struct(copies.alias("copies"), "cum", "source_size", "total", "tilt").alias("__r"))
-    plan = plan.groupBy("__id").agg(F.max("__r").alias("__r")).where("__r.copies > 0")
-    rows = docs.join(plan, docs[id_col].eqNullSafe(plan["__id"]))
-    rows = rows.withColumn("__nth", F.explode(F.sequence(F.lit(0), F.col("__r.copies") - 1)))
-    share = (F.col("__nth") * F.col("__r.source_size") + F.col("__r.cum")) / F.col("__r.total")
-    rows = rows.withColumn("__at", _position(F.least(share, F.lit(1.0)), F.col("__r.tilt")))
-    return rows.orderBy("__at", "__id", "__nth").select(*docs.columns)
+    make whole readings, the n-th reading at the position of the n-th pass; columns stay as they
+    are."""
+    how = (weights, tilts, max_epochs)
+    slices = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    plan = readings(docs, id_col, text_col, source_col, *how)
+    # rows that tie go to the slice of the first of them
+    ties = Window.partitionBy("__src", "__bucket", "__key", "doc_id", "size")
+    plan = plan.withColumn("copies", F.max(_copies()).over(ties)).withColumn("cum", F.min("cum").over(ties)).where("copies > 0")
+    plan = plan.withColumn("nth", F.explode(F.sequence(F.lit(0), F.col("copies") - 1)))
+    plan = plan.withColumn("slice", F.least(F.floor(_at() * slices), F.lit(slices - 1)).cast("int"))
+    place = F.struct("nth", "__key", "doc_id", "size")
+    starts = plan.groupBy("__src", "source_size", "total", "tilt", "nth", "slice").agg(F.min(place).alias("first"), F.max(place).alias("last"), F.min("cum").alias("cum"))
+    starts = materialize(starts, "starts")
+    count, most = starts.groupBy("__src").count().agg(F.coalesce(F.sum("count"), F.lit(0)), F.coalesce(F.max("count"), F.lit(1))).first()
+    if count > most_starts:
+        return _mixed_by_key(docs, id_col, text_col, source_col, *how)
+    table = starts.groupBy("__src", "source_size", "total", "tilt").agg(F.sort_array(F.collect_list(F.struct("first", "nth", "slice", "cum", "last"))).alias("starts"))
+    table = table.select("*", F.transform("starts", lambda x: x["first"]).alias("firsts"))
+    rows = docs.select(whole_row(docs).alias("row"), F.col(f"`{id_col}`").alias("doc_id"), _source(source_col).alias("__src"), _key(id_col).alias("__key"), _size(text_col).alias("size"))
+    rows = rows.join(F.broadcast(table), "__src")
+    probe = lambda n: F.struct(n.cast("int").alias("nth"), "__key", "doc_id", "size")
+    found = F.transform(F.sequence(F.lit(0), F.lit(max_epochs - 1)), lambda n: F.struct(n.alias("n"), probe(n).alias("p"), F.get("starts", find_last(F.col("firsts"), probe(n), most)).alias("s")))
+    found = F.filter(found, lambda x: (x["s"]["nth"] == x["n"]) & (x["p"] <= x["s"]["last"]))
+    rows = rows.select("row", "doc_id", "__src", "__key", "size", "source_size", "total", "tilt", F.explode(F.when(F.col("size") > 0, found)).alias("x"))
+    rows = rows.select("*", F.col("x.n").alias("nth"), F.col("x.s.slice").alias("slice"), F.col("x.s.cum").alias("head")).drop("x")
+    rows = rows.repartitionById(slices, F.col("slice"))
+    order = Window.partitionBy("slice", "__src", "nth").orderBy("__key", "doc_id", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    rows = rows.withColumn("cum", F.col("head") + F.sum("size").over(order) - F.col("size")).where(F.col("nth") < _copies())
+    return rows.withColumn("at", _at()).sortWithinPartitions("at", "doc_id", "nth").select("row.*")
+
+
+def _mixed_by_key(docs: DataFrame, id_col: str, text_col: str, source_col: str, weights, tilts, max_epochs: int) -> DataFrame:
+    """The same by a join of documents with their readings and a range sort."""
+    rows = docs.select(whole_row(docs).alias("row"), F.monotonically_increasing_id().alias("uid"))
+    rows = materialize(rows, "rows")
+    narrow = rows.select(F.col(f"row.`{id_col}`").alias("i"), F.col(f"row.`{text_col}`").alias("t"), F.col(f"row.`{source_col}`").alias("s"), "uid")
+    plan = readings(narrow, "i", "t", "s", weights, tilts, max_epochs, carry=("uid",))
+    plan = plan.withColumn("copies", _copies()).where("copies > 0").withColumn("nth", F.explode(F.sequence(F.lit(0), F.col("copies") - 1)))
+    return rows.join(plan.select("uid", "doc_id", "nth", _at().alias("at")), "uid").orderBy("at", "doc_id", "nth").select("row.*")
 
 
 def op8_curriculum_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

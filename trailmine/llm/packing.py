@@ -1,9 +1,10 @@
 """Best-fit packing after a linear grouping scheme (operator 6).
 
 Texts are encoded, closed by an end id and cut into pieces only where they exceed a sequence.
-Full pieces are sequences of their own. The others are dealt by hash to shards of about
-``SHARD_PIECES`` pieces, each packed by one task: sharding costs at most one open sequence a
-shard. In a shard, pieces over ``capacity / SMALL`` are large: sorted and cut into ``GROUPS``
+Full pieces are sequences of their own. Pieces keep the order of their documents (files by
+name, rows within): ranges of about ``SHARD_PIECES`` pieces are shards, each packed by one task,
+and the sequences are numbered in that order, so a training order survives up to a shard.
+Sharding costs at most one open sequence a shard. In a shard, pieces over ``capacity / SMALL`` are large: sorted and cut into ``GROUPS``
 groups of equal cardinality, each rounded up to its longest. Over these few sizes the number
 of sequences is optimised by column generation on configurations (a linear program whose
 columns come from a knapsack over capacity units); the whole part of the solution is filled
@@ -13,7 +14,8 @@ of the large pieces and all small ones, goes by decreasing length to the best-fi
 sequence.
 
 Defined cases: a null text is empty and yields its end id alone; repeated rows are documents
-of their own; an empty table gives an empty result; other columns are ignored.
+of their own; a text of any length is encoded whole and cut into pieces; an empty table gives an
+empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,6 +27,7 @@ from collections import defaultdict
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -39,16 +42,18 @@ GROUPS = 96
 UNIT = 8
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
+#: Place of a piece in the input: file, where its split begins, task, number within the task.
+ORDER = ("file", "split", "task", "nth")
 
 
 def token_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = END_ID, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``doc_id, piece, start, length, ids_crc32`` of every piece of every document."""
+    """``doc_id, piece, start, length, ids_crc32`` of every piece of every document, and ``ORDER``."""
     bound_batches(docs.sparkSession, mb=16)
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), whole_text(F.col(text_col)).alias("text"))
+    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), whole_text(F.col(f"`{text_col}`")).alias("text"), F.input_file_name().alias("file"), F.input_file_block_start().alias("split"))
 
     def run(batches):
         enc = encoder(path)
-        end = np.array([end_id], "<u4").tobytes()
+        end, task, nth = np.array([end_id], "<u4").tobytes(), TaskContext.get().partitionId(), 0
         for b in batches:
             ids, bounds = enc.encode(b.column(1))
             raw = memoryview(ids.tobytes())
@@ -62,10 +67,13 @@ def token_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: i
                     start.append(s // 4)
                     length.append(len(part) // 4)
                     crc.append(zlib.crc32(part))
-            cols = [b.column(0).take(pa.array(at, pa.int64())), pa.array(piece, pa.int32()), *(pa.array(x, pa.int64()) for x in (start, length, crc))]
-            yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "piece", "start", "length", "ids_crc32"])
+            own, m = pa.array(at, pa.int64()), len(at)
+            cols = [b.column(0).take(own), pa.array(piece, pa.int32()), *(pa.array(x, pa.int64()) for x in (start, length, crc))]
+            cols += [b.column(2).take(own), b.column(3).take(own), pa.array(np.full(m, task, np.int32)), pa.array(np.arange(nth, nth + m, dtype=np.int64))]
+            nth += m
+            yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "piece", "start", "length", "ids_crc32", *ORDER])
 
-    return rows.mapInArrow(run, PIECES)
+    return rows.mapInArrow(run, PIECES + ", file string, split long, task int, nth long")
 
 
 def configurations(sizes: list[int], demand: list[int], room: int) -> list[tuple[np.ndarray, int]]:
@@ -171,21 +179,36 @@ def pack(lengths: np.ndarray, capacity: int = CAPACITY, groups: int = GROUPS, sm
 
 
 def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY, shard_pieces: int = SHARD_PIECES) -> DataFrame:
-    """``pieces`` with ``sequence_id, offset``."""
-    whole = pieces.where(F.col("length") == capacity)
-    rest = pieces.where(F.col("length") < capacity)
-    shards = max(1, -(-rest.count() // shard_pieces))
-    shard = F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(shards)).alias("shard")
-
-    def run(table: pa.Table) -> pa.Table:
-        table = table.sort_by([(c, "ascending") for c in ("doc_id", "piece", "ids_crc32")])
-        seq, off = pack(table["length"].to_numpy(), capacity)
-        seq = (table["shard"].to_numpy() << 32) + seq
-        return table.drop_columns(["shard"]).append_column("sequence_id", pa.array(seq, pa.int64())).append_column("offset", pa.array(off, pa.int64()))
-
-    packed = rest.select("*", shard).groupBy("shard").applyInArrow(run, f"{PIECES}, sequence_id long, offset long")
-    alone = whole.select("*", (-1 - F.monotonically_increasing_id()).alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
-    return packed.unionByName(alone)
+    """``pieces`` with ``sequence_id, offset``, without ``ORDER``."""
+    shards = max(1, -(-pieces.count() // shard_pieces))
+    rows = pieces.repartitionByRange(shards, *ORDER).sortWithinPartitions(*ORDER).drop(*ORDER)
+
+    def run(batches):
+        shard, held, done = TaskContext.get().partitionId() << 36, [], 0
+
+        def flush():
+            t = pa.Table.from_batches(held).combine_chunks()
+            length = t["length"].to_numpy()
+            whole = length == capacity
+            seq, off = np.zeros(len(length), np.int64), np.zeros(len(length), np.int64)
+            seq[~whole], off[~whole] = pack(length[~whole], capacity)
+            seq[whole] = seq.max(initial=0) + 1 + np.arange(whole.sum())
+            _, first, at = np.unique(seq, return_index=True, return_inverse=True)
+            number = np.argsort(np.argsort(first))  # sequences go by their first piece
+            t = t.append_column("sequence_id", pa.array(number[at] + shard + done)).append_column("offset", pa.array(off))
+            held.clear()
+            return len(first), t.to_batches()
+
+        for b in batches:
+            held.append(b)
+            if sum(x.num_rows for x in held) >= 2 * shard_pieces:  # a range that came out too long
+                n, out = flush()
+                done += n
+                yield from out
+        if held:
+            yield from flush()[1]
+
+    return rows.mapInArrow(run, f"{PIECES}, sequence_id long, offset long")
 
 
 def pack_documents(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, end_id: int = END_ID, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

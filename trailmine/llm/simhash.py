@@ -14,9 +14,10 @@ A cell with more than ``CELL_ROWS`` fingerprints is split by its next bits, agai
 at full length a variant has at most 2081 emitters, so memory has a bound.
 
 Defined cases: null and empty texts have fingerprint zero and link with each other; fewer
-words than a shingle make one shingle; repeated rows share fingerprint and component; a null
-id is never a component's name unless all its members have none; an empty table gives an empty
-result; other columns are ignored by ``near_duplicates`` and carried by ``drop_near_duplicates``.
+words than a shingle make one shingle; a text of any length is hashed whole; repeated rows share
+fingerprint and component; a null id is never a component's name unless all its members have
+none; an empty table gives an empty result; other columns are ignored by ``near_duplicates`` and
+carried, under any name, by ``drop_near_duplicates``, which tells rows apart by id and text.
 """
 
 from __future__ import annotations
@@ -29,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bound_batches, documents, materialize, text_digest, whole_text
+from .common import bound_batches, documents, materialize, text_digest, whole_row, whole_text
 from .components import components
 
 SHINGLE = 3
@@ -57,7 +58,8 @@ def fingerprint(text: bytes, shingle: int = SHINGLE) -> int:
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE) -> DataFrame:
     """``doc_id, fp, digest``; the 64 bits as a signed long, and the text's digest."""
     bound_batches(docs.sparkSession)
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), whole_text(F.col(text_col)).cast("binary").alias("text"), text_digest(F.col(text_col)).alias("digest"))
+    text = F.col(f"`{text_col}`")
+    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), whole_text(text).cast("binary").alias("text"), text_digest(text).alias("digest"))
 
     def run(batches):
         for b in batches:
@@ -212,26 +214,29 @@ def links(dealt: DataFrame) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, cell_rows: int = CELL_ROWS) -> DataFrame:
-    """``doc_id, fp, component_id, n_linked, digest``: the smallest id reachable over links at three
-    bits or fewer, and the number of documents in the component."""
+    """``doc_id, fp, component_id, n_linked, digest, best``: the smallest id reachable over links
+    at three bits or fewer, the number of documents in the component, and the one that stands for
+    it: the least id, null last, then the least digest of the text."""
     marks = materialize(fingerprints(docs, id_col, text_col, shingle), "fingerprints")
-    fps = materialize(marks.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")), "distinct")
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "digest"))
+    fps = materialize(marks.groupBy("fp").agg(first.alias("best"), F.count(F.lit(1)).alias("n")), "distinct")
     edges = links(deal_variants(fps.select("fp"), fps.count(), cell_rows))
     trees = components(edges)
-    rooted = fps.join(trees, fps["fp"] == trees["node"], "left").select("fp", "least", "n", F.coalesce("root", "fp").alias("root"))
-    named = rooted.groupBy("root").agg(F.min("least").alias("component_id"), F.sum("n").alias("n_linked"))
-    named = materialize(rooted.join(named, "root").select("fp", "component_id", "n_linked"), "named")
-    return marks.join(named, "fp").select("doc_id", "fp", "component_id", "n_linked", "digest")
+    rooted = fps.join(trees, fps["fp"] == trees["node"], "left").select("fp", "best", "n", F.coalesce("root", "fp").alias("root"))
+    named = rooted.groupBy("root").agg(F.min("best").alias("best"), F.sum("n").alias("n_linked"))
+    named = materialize(rooted.select("fp", "root").join(named, "root").select("fp", "best", "n_linked"), "named")
+    return marks.join(named, "fp").select("doc_id", "fp", F.col("best.doc_id").alias("component_id"), "n_linked", "digest", "best")
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE) -> DataFrame:
-    """The documents without those that a smaller id of their component stands for. Rows are
-    told apart by id and text, so one of several without an id, or with the same, goes alone;
-    components without any id stay."""
+    """One document of each component, with its columns: the one with the least id, or, where
+    none has an id, with the least digest. Rows are told apart by id and text, so each of those
+    without an id, or with the same, is decided alone."""
     found = near_duplicates(docs, id_col, text_col, shingle)
-    lost = found.where("component_id IS NOT NULL AND NOT doc_id <=> component_id").select(F.col("doc_id").alias("__id"), F.col("digest").alias("__d")).distinct()
-    lost = materialize(lost, "lost")
-    return docs.join(lost, docs[id_col].eqNullSafe(lost["__id"]) & (text_digest(docs[text_col]) == lost["__d"]), "left_anti")
+    other = ~(F.col("doc_id").eqNullSafe(F.col("best.doc_id")) & (F.col("digest") == F.col("best.digest")))
+    lost = materialize(found.where(other).select("doc_id", "digest").distinct(), "lost")
+    rows = docs.select(whole_row(docs).alias("row"), F.col(f"`{id_col}`").cast("long").alias("id"), text_digest(F.col(f"`{text_col}`")).alias("d"))
+    return rows.join(lost, rows["id"].eqNullSafe(lost["doc_id"]) & (rows["d"] == lost["digest"]), "left_anti").select("row.*")
 
 
 def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
