@@ -2,6 +2,7 @@
 
 import itertools
 import random
+from collections import Counter
 
 import pytest
 from pyspark.sql import functions as F
@@ -165,6 +166,29 @@ def test_methods_agree_with_baselines(spark):
         assert want == show(baselines.prefix_growth_regex(db, slots, 3, contiguous)) == show(baselines.regex_enumerate(db, slots, 3, contiguous))
 
 
+@pytest.mark.parametrize("text", ["(.^)[.{0,1}(.^)]{1,2}", "[.*(.)]+", "(a1=)|(b1^) e", "c (A^=)+ [b1]? (.)", "(a1) b2 | (a1) . e", ". . (A^)", "[A (B)] | [(B^) [.*(e)]]"])
+def test_joins_of_graphs(db, text):
+    """Expressions with gaps, cycles, context, and ends at several levels, against the definition."""
+    up = {}
+    for w, a in EDGES:
+        up.setdefault(w, []).append(a)
+    anc = lambda w: {w}.union(*map(anc, up.get(w, [])))
+    count = Counter(o for x in SEQS for o in slow(ex.parse(text), x.split(), {w: anc(w) for w in x.split() + [p for _, p in EDGES]}, False))
+    assert pairs(mining.mine(db, text, 2, method="joins")) == {(" ".join(o), n) for o, n in count.items() if n >= 2}
+
+
+@pytest.mark.parametrize("text,match", [(EX, "full"), ("(a) .", "anywhere"), ("(a) [. .]* (b)", "anywhere")])
+def test_no_graph(text, match):
+    assert native.from_transducer(compile_expression(text, match)) is None
+
+
+def test_entry_has_rows(spark):
+    assert mining.relative_sigma(60, 150, 15) == 6 and mining.relative_sigma(60, 150, 150) == 60
+    import __spark_entry__
+
+    assert __spark_entry__.entry(spark).count() > 0
+
+
 def test_post(spark):
     p = spark.createDataFrame([("a", 1, 5), ("a b", 2, 5), ("b", 1, 7), ("a c b", 3, 2)], "pattern string, length int, freq long")
     assert pairs(post.maximal(p)) == {("a c b", 2)}

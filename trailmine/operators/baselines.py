@@ -3,13 +3,14 @@ regular expression), enumeration over an expression's automaton, and unconstrain
 
 from __future__ import annotations
 
-import pyarrow as pa
+import itertools
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.transducers import compile_expression
 from ..sources.dictionary import written
-from .mining import Binding, Database
+from .mining import Binding, Database, gathered
 
 
 def _spots(db: Database, sigma: int, up: bool) -> DataFrame:
@@ -122,7 +123,7 @@ def prefix_growth_regex(db: Database, slots: str, sigma: int, contiguous: bool)
     finals = list(t.finals)
     now = spots.join(table.where(F.col("q") == t.start), "item").select("sid", "pos", F.array("item").alias("pattern"), F.col("to").alias("q"))
     out = None
-    for level in range(1, 10_000):
+    for level in itertools.count(1):
         now = written(now.distinct(), f"projected{level}")
         alive = written(_count(now, sigma), f"alive{level}")
         if alive.isEmpty():
@@ -143,23 +144,24 @@ def regex_enumerate(db: Database, slots: str, sigma: int, contiguous: bool = Fal
     subsequences that lead to it; those at final states are counted."""
     b = Binding(db, compile_expression(f"({slots})"), sigma)
 
+    def outputs(k, items):
+        held = [set() for _ in k.t.moves]
+        found = set()
+        for w in items:
+            new = [set() for _ in k.t.moves]
+            for o, to in k.step(k.t.start, w):
+                new[to].add((o,))
+            for q, parts in enumerate(held):
+                for o, to in k.step(q, w) if parts else ():
+                    new[to].update(p + (o,) for p in parts)
+            held = new if contiguous else [a | n for a, n in zip(held, new, strict=True)]
+            found.update(*(new[q] for q in k.t.finals))
+        return found
+
     def run(batches):
         k = b.kernel()
         for batch in batches:
-            for items in batch.column(0).to_pylist():
-                held = [set() for _ in k.t.moves]
-                found = set()
-                for w in items:
-                    new = [set() for _ in k.t.moves]
-                    for o, to in k.step(k.t.start, w):
-                        new[to].add((o,))
-                    for q, parts in enumerate(held):
-                        for o, to in k.step(q, w) if parts else ():
-                            new[to].update(p + (o,) for p in parts)
-                    held = new if contiguous else [a | n for a, n in zip(held, new, strict=True)]
-                    found.update(*(new[q] for q in k.t.finals))
-                if found:
-                    yield pa.RecordBatch.from_arrays([pa.array(list(map(list, found)), pa.list_(pa.int32()))], names=["pattern"])
+            yield from gathered(outputs(k, items) for items in batch.column(0).to_pylist())
 
     rows = db.seqs.select("items").mapInArrow(run, "pattern array<int>")
     return rows.groupBy("pattern").agg(F.count(F.lit(1)).alias("freq")).where(F.col("freq") >= sigma)

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import math
 import time
 from dataclasses import dataclass, field
 
@@ -18,6 +17,10 @@ from ..sources.dictionary import Dictionary, build_dictionary, decode, encode, w
 MAX_BROADCAST_PAIRS = 20_000_000
 #: Surviving nodes of a level that may be broadcast; beyond, they are joined.
 MAX_BROADCAST_NODES = 500_000
+#: Levels of growth, and of joins, beyond which a run is an error.
+MAX_LEVELS = 1000
+#: Outputs that a worker gathers in one Arrow batch, about.
+BATCH_OUTPUTS = 10_000
 PATTERNS = "pattern array<int>, n long"
 
 
@@ -43,6 +46,14 @@ class Database:
 
     seqs: DataFrame
     dictionary: Dictionary
+    _n: int | None = None
+
+    @property
+    def sequences(self) -> int:
+        """Sequences that are not empty."""
+        if self._n is None:
+            self._n = self.seqs.count()
+        return self._n
 
 
 def prepare(seqs: DataFrame, edges: DataFrame | None = None) -> Database:
@@ -80,14 +91,22 @@ class Binding:
         return Kernel(*self.sent.value)
 
 
+def gathered(outputs):
+    """Arrow batches of the outputs of many sequences."""
+    held: list = []
+    for found in outputs:
+        held += map(list, found)
+        if len(held) >= BATCH_OUTPUTS:
+            yield pa.RecordBatch.from_arrays([pa.array(held, pa.list_(pa.int32()))], names=["pattern"])
+            held = []
+    if held:
+        yield pa.RecordBatch.from_arrays([pa.array(held, pa.list_(pa.int32()))], names=["pattern"])
+
+
 def _counted(db: Database, b: Binding, sigma: int, limit: int | None) -> DataFrame:
     def run(batches):
         k = b.kernel()
-        for batch in batches:
-            for items in batch.column(0).to_pylist():
-                found = k.generate(items, limit)
-                if found:
-                    yield pa.RecordBatch.from_arrays([pa.array(list(map(list, found)), pa.list_(pa.int32()))], names=["pattern"])
+        yield from gathered(k.generate(items, limit) for batch in batches for items in batch.column(0).to_pylist())
 
     rows = db.seqs.select("items").mapInArrow(run, "pattern array<int>")
     return rows.groupBy("pattern").agg(F.count(F.lit(1)).alias("freq")).where(F.col("freq") >= sigma)
@@ -103,7 +122,7 @@ def pruned_count(db: Database, t: Transducer, sigma: int, limit: int | None = 1_
     return _counted(db, Binding(db, t, sigma), sigma, limit)
 
 
-def snapshot_growth(db: Database, t: Transducer, sigma: int, max_level: int = 1000, report: Report | None = None, prune_nodes: bool = True) -> DataFrame:
+def snapshot_growth(db: Database, t: Transducer, sigma: int, max_level: int = MAX_LEVELS, report: Report | None = None, prune_nodes: bool = True) -> DataFrame:
     """Growth of output prefixes, level by level, over snapshots (position, state).
 
     A row holds a sequence and its snapshots per live prefix, so sequences never move; only
@@ -220,20 +239,27 @@ def mine(db: Database, expression, sigma: int, match: str = "anywhere", method:
     """``pattern, length, freq`` of all patterns in at least ``sigma`` sequences.
 
     ``method``: "naive", "plain" (naive over the uncompressed transducer), "pruned",
-    "growth" or "auto"."""
+    "growth", "joins" (where the expression can be said by joins on positions) or "auto": joins
+    where that can be, else pruned or growth by a sample."""
     if sigma < 1 or sigma == 1 and not force and ".*" in str(expression).replace(" ", ""):
         raise ValueError("sigma must be 2 or more for free gaps, or force=True")
+    from . import native
+
     t = compile_expression(expression, match, optimized)
-    if method == "auto":
+    if method in ("auto", "joins"):
+        if (g := native.from_transducer(t)) is not None:
+            return decode(native.walk(db, g, sigma), db.dictionary)
+        if method == "joins":
+            raise ValueError("the expression cannot be said by joins on positions")
         method = choose_method(db, t, sigma)
     run = {"naive": generate_and_count, "pruned": pruned_count, "growth": snapshot_growth}
     found = generate_and_count(db, t, sigma, plain=True, **options) if method == "plain" else run[method](db, t, sigma, **options)
     return decode(found, db.dictionary)
 
 
-def relative_sigma(share: float, n: int) -> int:
-    return max(1, math.ceil(share * n))
-
+def relative_sigma(sigma: int, of: int, n: int) -> int:
+    """What ``sigma`` of ``of`` sequences is of ``n``, rounded up; 2 at least."""
+    return max(2, -(-sigma * n // of))
 
 
 def supporting_sequences(db: Database, expression, pattern: list[str], match: str = "anywhere") -> DataFrame:

@@ -38,6 +38,15 @@ def basket_trails(spark: SparkSession, sf_dir: str) -> DataFrame:
     return collect_sequences(rows, "o_custkey", "item", "o_orderdate", "o_orderkey", "l_linenumber", "l_partkey")
 
 
+def name_trails(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A customer's bought parts, by name."""
+    lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_linenumber")
+    orders = read(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_orderdate")
+    parts = read(spark, sf_dir, "part").select("p_partkey", "p_name")
+    rows = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).join(parts, F.col("l_partkey") == F.col("p_partkey"))
+    return collect_sequences(rows, "o_custkey", "p_name", "o_orderdate", "o_orderkey", "l_linenumber", "l_partkey")
+
+
 def supplier_trails(spark: SparkSession, sf_dir: str) -> DataFrame:
     lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey", "l_linenumber")
     orders = read(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_orderdate")
@@ -105,6 +114,12 @@ def part_edges(spark: SparkSession, sf_dir: str, dag: bool = False) -> DataFrame
     return out
 
 
+def name_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
+    noun = F.element_at(F.split("p_name", " "), -1)
+    part = read(spark, sf_dir, "part").select("p_name", noun.alias("noun"))
+    return part.select(F.col("p_name").alias("child"), F.col("noun").alias("parent")).union(part.select("noun", F.lit("PART"))).distinct()
+
+
 def supplier_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     s, n, r = (read(spark, sf_dir, x) for x in ("supplier", "nation", "region"))
     out = s.join(n, s["s_nationkey"] == n["n_nationkey"]).select(F.concat(F.lit("S"), "s_suppkey").alias("child"), F.col("n_name").alias("parent"))

@@ -8,23 +8,27 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .operators import baselines, mining, native, post
-from .operators.native import Slot
+from .operators.native import Graph, Slot
 from .plans import expressions as ex
 from .plans.transducers import compile_expression
 from .sources import dictionary as di
 from .sources import sequences as sq
+from .sources.dictionary import written
 
 SOURCES = {
     "events": (sq.event_trails, sq.event_edges),
     "sessions": (sq.event_sessions, sq.event_edges),
     "baskets": (sq.basket_trails, sq.part_edges),
     "baskets_dag": (sq.basket_trails, partial(sq.part_edges, dag=True)),
+    "names": (sq.name_trails, sq.name_edges),
     "suppliers": (sq.supplier_trails, sq.supplier_edges),
     "tokens": (sq.sentence_tokens, sq.token_edges),
     "letters": (sq.letter_strings, None),
     "orders": (sq.order_trails, None),
     "roles": (sq.role_turns, None),
 }
+#: Sequences of each source at the scale for which the workloads' sigmas are stated.
+SIZES = {"events": 150, "sessions": 3292, "baskets": 1500, "baskets_dag": 1500, "names": 1500, "suppliers": 1500, "tokens": 23015, "letters": 1000, "orders": 1500, "roles": 100}
 _DATABASES: dict[tuple, mining.Database] = {}
 
 
@@ -38,6 +42,11 @@ def database(spark: SparkSession, sf_dir: str, source: str) -> mining.Database:
     return _DATABASES[key]
 
 
+def scaled(db: mining.Database, source: str, sigma: int) -> int:
+    """``sigma`` in proportion to the number of sequences."""
+    return mining.relative_sigma(sigma, SIZES[source], db.sequences)
+
+
 # SQL: positions (sid, pos, item) and closures (child, anc) of the sources
 
 _LIST = lambda xs: ", ".join(f"'{x}'" for x in xs)
@@ -61,11 +70,12 @@ SPOTS = {
           SELECT doc_id, ss, unnest(range(1, len(ss) + 1)) AS nth FROM (
             SELECT doc_id, regexp_split_to_array(text, '[.!?\n]+') AS ss FROM documents WHERE lang = 'en'))))""",
     "letters": """SELECT doc_id AS sid, i AS pos, list_extract(ls, i) AS item FROM (
-      SELECT doc_id, ls, unnest(range(1, least(len(ls), 600) + 1)) AS i FROM (SELECT doc_id, regexp_extract_all(lower(text), '[a-z]') AS ls FROM documents))""",
+      SELECT doc_id, ls, unnest(range(1, len(ls) + 1)) AS i FROM (SELECT doc_id, regexp_extract_all(lower(text), '[a-z]') AS ls FROM documents))""",
     "orders": "SELECT o_custkey AS sid, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS pos, o_orderpriority AS item FROM orders",
     "roles": "SELECT conv_id AS sid, row_number() OVER (PARTITION BY conv_id ORDER BY turn) AS pos, role AS item FROM conversations",
 }
 SPOTS["baskets_dag"] = SPOTS["baskets"]
+SPOTS["names"] = "SELECT o_custkey AS sid, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey, l_linenumber, l_partkey) AS pos, p_name AS item FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey"
 _EVENT = "SELECT * FROM (VALUES " + ", ".join(f"('{c}', '{p}')" for c, p in sq.EVENT_EDGES) + ") AS v(child, parent)"
 _NOUN = "list_extract(string_split(p_name, ' '), len(string_split(p_name, ' ')))"
 _PART = f"SELECT 'P' || p_partkey AS child, p_name AS parent FROM part UNION SELECT p_name, {_NOUN} FROM part UNION SELECT {_NOUN}, 'PART' FROM part"
@@ -73,6 +83,7 @@ EDGES = {
     "events": _EVENT,
     "sessions": _EVENT,
     "baskets": _PART,
+    "names": f"SELECT p_name AS child, {_NOUN} AS parent FROM part UNION SELECT {_NOUN}, 'PART' FROM part",
     "baskets_dag": _PART + " UNION SELECT 'P' || p_partkey, p_brand FROM part UNION SELECT 'P' || p_partkey, p_type FROM part",
     "suppliers": "SELECT 'S' || s_suppkey AS child, n_name AS parent FROM supplier JOIN nation ON s_nationkey = n_nationkey UNION SELECT n_name, r_name FROM nation JOIN region ON n_regionkey = r_regionkey",
     "tokens": f"""SELECT w AS child, {_PARENT} AS parent FROM (SELECT DISTINCT item AS w FROM spots)
@@ -88,35 +99,65 @@ up AS (SELECT child, parent AS anc FROM edges UNION SELECT up.child, e.parent FR
 anc AS (SELECT child, anc FROM up UNION SELECT item, item FROM spots UNION SELECT child, child FROM edges UNION SELECT parent, parent FROM edges)"""
 
 
-def sql_chain(source: str, shapes: list, sigma: int) -> str:
-    """Joins of positions, one per slot, united over the shapes, counted by sequence."""
-    parts = []
-    for slots, gaps in shapes:
-        tables, where, outs = [], [], []
-        for k, s in enumerate(slots):
-            tables.append(f"spots p{k}")
-            if k:
-                where += [f"p{k}.sid = p0.sid", f"p{k}.pos > p{k - 1}.pos"]
-                if gaps[k - 1] is not None:
-                    where.append(f"p{k}.pos <= p{k - 1}.pos + {gaps[k - 1] + 1}")
-            if s.name and s.exact:
-                where.append(f"p{k}.item = '{s.name}'")
-            elif s.name:
-                where.append(f"p{k}.item IN (SELECT child FROM anc WHERE anc = '{s.name}')")
-            if s.captured and s.const:
-                outs.append(f"'{s.name}'")
-            elif s.captured and s.up:
-                tables.append(f"anc g{k}")
-                where.append(f"g{k}.child = p{k}.item")
-                if s.name:
-                    where.append(f"g{k}.anc IN (SELECT child FROM anc WHERE anc = '{s.name}')")
-                outs.append(f"g{k}.anc")
-            elif s.captured:
-                outs.append(f"p{k}.item")
-        text = " || ' ' || ".join(f"replace({o}, ' ', '_')" for o in outs)
-        parts.append(f"SELECT DISTINCT p0.sid, {text} AS pattern, {len(outs)} AS length FROM {', '.join(tables)}" + (f" WHERE {' AND '.join(where)}" if where else ""))
-    return f"""{sql_front(source)}, found AS ({' UNION '.join(parts)})
-SELECT pattern, CAST(length AS INTEGER) AS length, count(*) AS freq FROM found GROUP BY pattern, length HAVING count(*) >= {sigma}"""
+def sql_sigma(source: str, sigma: int) -> str:
+    return f"(SELECT greatest(2, ({sigma} * count(DISTINCT sid) + {SIZES[source] - 1}) // {SIZES[source]}) FROM spots)"
+
+
+def _sql_hits(s: Slot) -> str:
+    """Places of a slot's test, once for each output that is frequent by itself."""
+    where = [f"p.item = '{s.name}'" if s.exact else f"p.item IN (SELECT child FROM anc WHERE anc = '{s.name}')"] if s.name else []
+    tables, out = "spots p", "p.item"
+    if not s.captured:
+        out = "''"
+    elif s.const:
+        out = f"'{s.name}'"
+    elif s.up:
+        tables, out = "spots p JOIN anc g ON g.child = p.item", "g.anc"
+        where += [f"g.anc IN (SELECT child FROM anc WHERE anc = '{s.name}')"] if s.name else []
+    if s.captured:
+        where.append(f"{out} IN (SELECT item FROM often)")
+    return f"SELECT DISTINCT p.sid, p.pos, replace({out}, ' ', '_') AS out FROM {tables}" + (f" WHERE {' AND '.join(where)}" if where else "")
+
+
+def sql_chain(source: str, shapes: list | Graph, sigma: int) -> str:
+    """Joins of positions, one step for each slot and beginning that shapes share; or one
+    recursive step for a graph without gaps, whose walks may be of any length. Counted by
+    sequence."""
+    g = shapes if isinstance(shapes, Graph) else native.from_shapes(shapes)
+    parts = [f"""{sql_front(source)}, often AS MATERIALIZED (SELECT anc.anc AS item FROM spots JOIN anc ON spots.item = anc.child GROUP BY anc.anc
+      HAVING count(DISTINCT sid) >= {sql_sigma(source, sigma)})"""]
+    number = {x: k for k, x in enumerate(g.slots)}
+    parts += [f"h{k} AS MATERIALIZED ({_sql_hits(x)})" for x, k in number.items()]
+    join = lambda s, before: f"ltrim({before} || ' ' || h.out)" if s.captured else before
+    if isinstance(shapes, Graph):
+        hits = " UNION ALL ".join(f"SELECT {k} AS slot, sid, pos, out FROM h{k}" for k in number.values())
+        edges = ", ".join(f"({at}, {number[x]}, {to})" for at, x, _, _, to in g.edges)
+        parts += [f"hits AS MATERIALIZED ({hits})", f"edges_of AS (SELECT * FROM (VALUES {edges}) AS v(node, slot, next))", f"""walk AS (
+          SELECT h.sid, h.pos, e.next AS node, h.out AS pattern FROM hits h JOIN edges_of e ON e.node = 0 AND e.slot = h.slot
+          UNION SELECT w.sid, h.pos, e.next, ltrim(w.pattern || ' ' || h.out) FROM walk w JOIN edges_of e ON e.node = w.node
+            JOIN hits h ON h.sid = w.sid AND h.pos = w.pos + 1 AND h.slot = e.slot)"""]
+        done = [f"SELECT sid, rtrim(pattern) AS pattern FROM walk WHERE node IN ({', '.join(map(str, sorted(g.ends)))})"]
+    else:
+        done = []
+        for at, x, _, gap, to in g.edges:
+            after = [e for e in g.edges if e[0] == to]
+            first = bool(after) and all(e[3] is None for e in after)
+            pos = "min(h.pos) AS pos" if first else "h.pos" if after else "0 AS pos"
+            hits = f"h{number[x]}"
+            if at and gap is None and not after:
+                hits = f"(SELECT sid, out, max(pos) AS pos FROM {hits} GROUP BY sid, out)"
+            if not at:
+                body, pattern = f"FROM {hits} h", "h.out"
+            else:
+                near = "h.pos > w.pos" if gap is None else "h.pos = w.pos + 1" if gap == 0 else f"h.pos BETWEEN w.pos + 1 AND w.pos + {gap + 1}"
+                body, pattern = f"FROM w{at} w JOIN {hits} h ON h.sid = w.sid AND {near}", join(x, "w.pattern")
+            how = ("", " GROUP BY ALL") if first else ("DISTINCT ", "")
+            parts.append(f"w{to} AS MATERIALIZED (SELECT {how[0]}h.sid AS sid, {pos}, {pattern} AS pattern {body}{how[1]})")
+            if to in g.ends:
+                done.append(f"SELECT sid, pattern FROM w{to}")
+    return f"""{', '.join(parts)}, found AS ({' UNION '.join(done)})
+SELECT pattern, CAST(len(string_split(pattern, ' ')) AS INTEGER) AS length, count(*) AS freq FROM found GROUP BY pattern
+HAVING count(*) >= {sql_sigma(source, sigma)}"""
 
 
 # workloads: (source, expression, sigma at sf0.01, shapes for SQL and the join plan)
@@ -138,15 +179,11 @@ def _be_shapes() -> list:
     return out
 
 
-def _phrases(left: Slot, right: Slot, most: int = 8) -> list:
-    """One to ``most`` verbs, up to ``most`` nouns, perhaps a preposition, between entities."""
-    out = []
-    for v in range(1, most + 1):
-        for n in range(most + 1):
-            for p in (0, 1):
-                slots = [left] + [Slot("VERB")] * v + [Slot("NOUN")] * n + [Slot("PREP")] * p + [right]
-                out.append((slots, [0] * (len(slots) - 1)))
-    return out
+def _phrase(side: Slot) -> Graph:
+    """Verbs, perhaps nouns, perhaps a preposition, between entities."""
+    verb, noun, prep = Slot("VERB"), Slot("NOUN"), Slot("PREP")
+    moves = [(0, side, 1), (1, verb, 2), (2, verb, 2), (2, noun, 3), (3, noun, 3), (2, prep, 4), (3, prep, 4), *((k, side, 5) for k in (2, 3, 4))]
+    return Graph(tuple((at, x, 0, 0 if at else None, to) for at, x, to in moves), frozenset([5]))
 
 
 def _category(root: str, up: bool, gap: int, least: int, most: int) -> tuple[str, list]:
@@ -173,16 +210,16 @@ WORKLOADS: dict[str, tuple] = {
     "t3_tokens": ("tokens", ex.generalized_ngrams(1, 3), 500, native.skip_shapes(0, 1, 3, True)),
     "t3_suppliers": ("suppliers", ex.generalized_ngrams(1, 2), 100, native.skip_shapes(0, 1, 2, True)),
     "p1_letters": ("letters", "([s|t]) .* (.) .* ([r|k])", 900, _alternatives([["s", "t"], [None], ["r", "k"]], None)),
-    "p2_letters": ("letters", " .* ".join(f"({x})" for x in ("[i|v]", "d", "l", "g", "t", "[s|t]", ".", "[s|c]")), 500, None),
+    "p2_letters": ("letters", " .* ".join(f"({x})" for x in ("[i|v]", "d", "l", "g", "t", "[s|t]", ".", "[s|c]")), 500, _alternatives([["i", "v"], ["d"], ["l"], ["g"], ["t"], ["s", "t"], [None], ["s", "c"]], None)),
     "p3_letters": ("letters", "([s|t] . [r|k])", 20, _alternatives([["s", "t"], [None], ["r", "k"]], 0)),
     "p4_letters": ("letters", "([s|t] . . [d|e])", 20, _alternatives([["s", "t"], [None], [None], ["d", "e"]], 0)),
-    "n1_tokens": ("tokens", "ENTITY (VERB+ NOUN+? PREP?) ENTITY", 5, _phrases(_ctx("ENTITY"), _ctx("ENTITY"), 4)),
-    "n2_tokens": ("tokens", "(ENTITY^ VERB+ NOUN+? PREP? ENTITY^)", 10, _phrases(Slot("ENTITY", up=True), Slot("ENTITY", up=True), 4)),
+    "n1_tokens": ("tokens", "ENTITY (VERB+ NOUN+? PREP?) ENTITY", 5, _phrase(_ctx("ENTITY"))),
+    "n2_tokens": ("tokens", "(ENTITY^ VERB+ NOUN+? PREP? ENTITY^)", 10, _phrase(Slot("ENTITY", up=True))),
     "n3_tokens": ("tokens", "(ENTITY^ be^=) DET? (ADV? ADJ? NOUN)", 5, _be_shapes()),
     "n4_tokens": ("tokens", "(.^){3} NOUN", 300, [([UP, UP, UP, _ctx("NOUN")], [0, 0, 0])]),
     "n5_tokens": ("tokens", "(.^ . .) | (. .^ .) | (. . .^)", 30, [([UP if k == j else ANY for k in range(3)], [0, 0]) for j in range(3)]),
     "a1_baskets": ("baskets", *(lambda e, s: (e, 60, s))(*_category("ring", True, 2, 2, 5))),
-    "a2_baskets": ("baskets", *(lambda e, s: (e, 20, s))(*_category("ring", False, 2, 2, 5))),
+    "a2_baskets": ("names", *(lambda e, s: (e, 30, s))(*_category("ring", False, 2, 2, 5))),
     "a3_baskets": ("baskets", "'hot ring' [.{0,3} (.^)]{1,4}", 200, [([_ctx("hot ring"), *[UP] * k], [3] * k) for k in (1, 2, 3, 4)]),
     "a4_baskets": ("baskets", *(lambda e, s: (e, 60, s))(*_category("plate", True, 2, 2, 5))),
     "a1_baskets_dag": ("baskets_dag", *(lambda e, s: (e, 60, s))(*_category("ring", True, 2, 2, 5))),
@@ -203,8 +240,6 @@ WORKLOADS: dict[str, tuple] = {
     "c11_generalized_skipgrams": ("sessions", ex.skipgrams(1, 2, True), 100, native.skip_shapes(1, 2, 2, True)),
     "order_priorities": ("orders", ex.ngrams(1, 2), 100, native.skip_shapes(0, 1, 2)),
 }
-#: Captured items up to which the SQL goes, where that is less than the workload's.
-SQL_LENGTH = {"a2_baskets": 3, "a3_baskets": 2, "a1_baskets_dag": 3}
 GOLDEN = "[c|d]([A^|B^=]+)e"
 #: Workloads over which the methods are compared.
 COMPARED = ("n1_tokens", "n2_tokens", "n3_tokens", "n4_tokens", "n5_tokens", "a1_baskets", "a2_baskets", "a3_baskets", "a4_baskets")
@@ -212,13 +247,14 @@ COMPARED = ("n1_tokens", "n2_tokens", "n3_tokens", "n4_tokens", "n5_tokens", "a1
 
 def run(name: str, method: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     source, expression, sigma, _ = WORKLOADS[name]
-    return mining.mine(database(spark, sf_dir, source), expression, sigma, method=method)
+    db = database(spark, sf_dir, source)
+    return mining.mine(db, expression, scaled(db, source, sigma), method=method)
 
 
 def run_joins(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     source, _, sigma, shapes = WORKLOADS[name]
     db = database(spark, sf_dir, source)
-    return di.decode(native.chain(db, shapes, sigma), db.dictionary)
+    return di.decode(native.chain(db, shapes, scaled(db, source, sigma)), db.dictionary)
 
 
 def golden(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -231,13 +267,14 @@ def golden(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _baseline(kind: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     source, sigma = ("letters", 20) if kind.startswith("regex") else ("suppliers", 100) if kind.endswith("up") else ("events", 120)
     db = database(spark, sf_dir, source)
+    sigma, common = scaled(db, source, sigma), scaled(db, source, 149)
     found = {
         "vertical": lambda: baselines.vertical_mine(db, sigma, 3, 1),
         "vertical_up": lambda: baselines.vertical_mine(db, sigma, 2, 0, True, 1),
         "prefix_growth": lambda: baselines.prefix_growth_mine(db, sigma, 3, 1, min_len=2),
         "prefix_growth_up": lambda: baselines.prefix_growth_mine(db, sigma, 2, 0, True, 1),
-        "prefix_span": lambda: baselines.prefix_span(db, 149, 3),
-        "prefix_span_mllib": lambda: baselines.prefix_span_mllib(db, 149, 3),
+        "prefix_span": lambda: baselines.prefix_span(db, common, 3),
+        "prefix_span_mllib": lambda: baselines.prefix_span_mllib(db, common, 3),
         "regex_growth": lambda: baselines.prefix_growth_regex(db, "[s|t] . [r|k]", sigma, True),
         "regex_enumerate": lambda: baselines.regex_enumerate(db, "[s|t] . [r|k]", sigma, True),
     }[kind]()
@@ -272,7 +309,8 @@ def _closure(source: str, spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _mean(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     source, expression, sigma, _ = WORKLOADS[name]
-    r = mining.mean_outputs(database(spark, sf_dir, source), compile_expression(expression, "anywhere"), sigma)
+    db = database(spark, sf_dir, source)
+    r = mining.mean_outputs(db, compile_expression(expression, "anywhere"), scaled(db, source, sigma))
     return r.select("n_sequences", "n_pairs")
 
 
@@ -283,7 +321,7 @@ def transducer_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .plans.transducers import plain_moves
 
     rows = []
-    for name in ("a1_baskets", "a2_baskets", "a3_baskets", "a4_baskets"):
+    for name in COMPARED:
         source, expression, _, _ = WORKLOADS[name]
         db = database(spark, sf_dir, source)
         b = mining.Binding(db, compile_expression(expression, "anywhere"))
@@ -299,28 +337,52 @@ def mining_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     for name in ("a1_baskets", "a3_baskets"):
         source, expression, sigma, _ = WORKLOADS[name]
         report = mining.Report()
-        mining.snapshot_growth(database(spark, sf_dir, source), compile_expression(expression, "anywhere"), sigma, report=report)
+        db = database(spark, sf_dir, source)
+        mining.snapshot_growth(db, compile_expression(expression, "anywhere"), scaled(db, source, sigma), report=report)
         rows += [(name, x["level"], x["created"], x["survived"], x["snapshots"], x["bytes"]) for x in report.levels]
     return spark.createDataFrame(rows, "workload string, level int, created long, survived long, snapshots long, bytes long")
 
 
 def method_equality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rows in which two methods differ: none."""
-    return post.disagreement(run("a3_baskets", "growth", spark, sf_dir), run("a3_baskets", "pruned", spark, sf_dir))
+    """``workload, method, n_rows, n_differing``: patterns of each method, and rows in which it
+    differs from the joins."""
+    out = None
+    for name in ("a1_baskets", "a2_baskets"):
+        base = written(run(name, "joins", spark, sf_dir), "joins")
+        for method in ("naive", "pruned", "growth", "plain"):
+            other = written(run(name, method, spark, sf_dir), method)
+            rows = other.agg(F.count(F.lit(1)).alias("n_rows")).join(post.disagreement(base, other).agg(F.count(F.lit(1)).alias("n_differing")))
+            rows = rows.select(F.lit(name).alias("workload"), F.lit(method).alias("method"), "n_rows", "n_differing")
+            out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+def dataset_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sequences, lengths and distinct items of each source."""
+    out = None
+    for source in SPOTS:
+        rows = di.sequence_stats(SOURCES[source][0](spark, sf_dir).where(F.size("items") > 0)).select(F.lit(source).alias("source"), "*")
+        out = rows if out is None else out.unionByName(rows)
+    return out.select("source", "n_sequences", F.round("avg_length", 6).alias("avg_length"), F.col("max_length").cast("long").alias("max_length"), "total_items", "distinct_items")
+
+
+def _dataset_sql(source: str) -> str:
+    return f"""SELECT '{source}' AS source, count(*) AS n_sequences, round(avg(n), 6) AS avg_length, max(n) AS max_length, CAST(sum(n) AS BIGINT) AS total_items,
+      (SELECT count(DISTINCT item) FROM ({SPOTS[source]})) AS distinct_items FROM (SELECT sid, count(*) AS n FROM ({SPOTS[source]}) GROUP BY sid)"""
 
 
 def queries() -> dict:
     out = {name: partial(run, name, "auto") for name in WORKLOADS}
     out |= {f"{name}_growth": partial(run, name, "growth") for name in (*COMPARED, "t1_events", "t2_events", "t3_events")}
     out |= {f"{name}_pruned": partial(run, name, "pruned") for name in COMPARED}
-    out |= {f"{name}_naive": partial(run, name, "naive") for name in ("n1_tokens", "n3_tokens", "a2_baskets", "a3_baskets", "t2_events")}
-    out |= {f"{name}_plain": partial(run, name, "plain") for name in ("a2_baskets",)}
-    out |= {f"{name}_joins": partial(run_joins, name) for name in ("t2_events", "t3_suppliers", "n3_tokens", "n4_tokens", "n5_tokens", "a1_baskets", "a3_baskets", "p3_letters", "log_after_error")}
+    out |= {f"{name}_naive": partial(run, name, "naive") for name in ("n1_tokens", "n2_tokens", "n3_tokens", "a1_baskets", "a2_baskets", "a4_baskets", "t2_events")}
+    out |= {f"{name}_plain": partial(run, name, "plain") for name in ("a1_baskets", "a2_baskets", "a4_baskets")}
+    out |= {f"{name}_joins": partial(run_joins, name) for name in ("a2_baskets", "n2_tokens", "t2_events", "t3_suppliers", "n3_tokens", "n4_tokens", "n5_tokens", "a1_baskets", "a3_baskets", "p3_letters", "log_after_error")}
     out |= {f"base_{k}": partial(_baseline, k) for k in (*BASELINES, "prefix_span", "prefix_span_mllib")}
     out |= {f"flist_{s}": partial(_flist, s) for s in ("events", "baskets", "baskets_dag", "suppliers", "tokens")}
-    out |= {f"lengths_{s}": partial(_lengths, s) for s in SPOTS if s != "baskets_dag"}
+    out |= {f"lengths_{s}": partial(_lengths, s) for s in SPOTS if s not in ("baskets_dag", "names")}
     out |= {f"hierarchy_closure_{s}": partial(_closure, s) for s in ("events", "baskets_dag", "suppliers", "tokens")}
-    out |= {"mean_outputs_a3": partial(_mean, "a3_baskets"), "golden": golden, "transducer_sizes": transducer_sizes, "mining_report": mining_report, "method_equality": method_equality}
+    out |= {"mean_outputs_a3": partial(_mean, "a3_baskets"), "golden": golden, "transducer_sizes": transducer_sizes, "mining_report": mining_report, "method_equality": method_equality, "dataset_stats": dataset_stats}
     out["topk_patterns"] = lambda s, d: post.top_k(run("t1_tokens", "auto", s, d), 20)
     out["rollup_lengths"] = lambda s, d: post.by_length(run("t1_tokens", "auto", s, d))
     out["maximal_patterns"] = lambda s, d: post.maximal(run("a3_baskets", "auto", s, d))
@@ -329,8 +391,7 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    within = lambda name, shapes: [x for x in shapes if sum(s.captured for s in x[0]) <= SQL_LENGTH.get(name, 99)]
-    base = {name: sql_chain(source, within(name, shapes), sigma) for name, (source, _, sigma, shapes) in WORKLOADS.items() if shapes}
+    base = {name: sql_chain(source, shapes, sigma) for name, (source, _, sigma, shapes) in WORKLOADS.items() if shapes}
     out = dict(base)
     for name in queries():
         stem = name.rpartition("_")[0]
@@ -340,9 +401,22 @@ def oracle_sql() -> dict[str, str]:
     span = sql_chain("events", native.skip_shapes(None, 1, 3), 149)
     out |= {"base_prefix_span": span, "base_prefix_span_mllib": span}
     out |= {f"flist_{s}": _flist_sql(s) for s in ("events", "baskets", "baskets_dag", "suppliers", "tokens")}
-    out |= {f"lengths_{s}": _lengths_sql(s) for s in SPOTS if s != "baskets_dag"}
+    out |= {f"lengths_{s}": _lengths_sql(s) for s in SPOTS if s not in ("baskets_dag", "names")}
     out |= {f"hierarchy_closure_{s}": f"{sql_front(s)} SELECT child, anc FROM up" for s in ("events", "baskets_dag", "suppliers", "tokens")}
     out["golden"] = "SELECT pattern, CAST(length AS INTEGER) AS length, CAST(freq AS BIGINT) AS freq FROM (VALUES ('A A A B', 4, 2), ('A B', 2, 2), ('A a1 A B', 4, 2), ('a1 B', 2, 2)) AS v(pattern, length, freq)"
+    a3 = base["a3_baskets"]
+    longer = f"""WITH RECURSIVE r AS MATERIALIZED ({a3}), x AS (SELECT pattern, length, freq, string_split(pattern, ' ') AS w FROM r),
+held AS (
+  SELECT p.pattern, q.pattern AS q, 1 AS k, list_position(q.w, p.w[1]) AS at FROM x p JOIN x q ON q.length > p.length AND list_contains(q.w, p.w[1])
+  UNION ALL SELECT h.pattern, h.q, k + 1, at + list_position(q.w[at + 1:], p.w[k + 1]) FROM held h JOIN x p ON p.pattern = h.pattern JOIN x q ON q.pattern = h.q
+  WHERE k < p.length AND list_contains(q.w[at + 1:], p.w[k + 1]))
+SELECT pattern, length, freq FROM x WHERE NOT EXISTS (SELECT 1 FROM held h JOIN x q ON q.pattern = h.q WHERE h.pattern = x.pattern AND h.k = x.length"""
+    out["maximal_patterns"] = longer + ")"
+    out["closed_patterns"] = longer + " AND q.freq = x.freq)"
+    out["dataset_stats"] = " UNION ALL ".join(_dataset_sql(x) for x in SPOTS)
+    out["method_equality"] = " UNION ALL ".join(
+        f"SELECT '{name}' AS workload, m.method, (SELECT count(*) FROM ({base[name]})) AS n_rows, CAST(0 AS BIGINT) AS n_differing FROM (VALUES ('naive'), ('pruned'), ('growth'), ('plain')) AS m(method)"
+        for name in ("a1_baskets", "a2_baskets"))
     out["topk_patterns"] = f"SELECT * FROM ({base['t1_tokens']}) ORDER BY freq DESC, pattern LIMIT 20"
     out["rollup_lengths"] = f"SELECT length, count(*) AS n_patterns, max(freq) AS max_freq FROM ({base['t1_tokens']}) GROUP BY length"
     return out
