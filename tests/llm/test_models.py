@@ -34,13 +34,15 @@ def test_warc(spark, which, tmp_path):
         want[(p, u, len(h), hashlib.sha256(h).hexdigest(), "response" if to is None else "revisit", to)] += 1
     entries = warc.write_archives(pages, base, file_bytes=20_000)
     directory = warc.write_index(entries, base, block_entries=4)
-    assert Counter(map(tuple, warc.read_captures(directory, base).collect())) == want
+    assert Counter(map(tuple, warc.look_up(entries.select("key"), directory, base).collect())) == want
     index = warc.CaptureIndex(directory, base)
     for u in {u for _, u, _ in rows[:40]}:
         got = index.lookup(u)
         assert Counter(r["page_id"] for r in got) == Counter(p for p, v, _ in rows if warc.url_key(v) == warc.url_key(u))
+        assert Counter((r["page_id"], r["payload"]) for r in got) == Counter((p, h) for p, v, h in rows if warc.url_key(v) == warc.url_key(u))
     assert index.lookup("http://nowhere.invalid/") == []
-    assert warc.read_captures(warc.write_index(warc.write_archives(pages.limit(0), base), base), base).count() == 0
+    none = warc.write_archives(pages.limit(0), base)
+    assert warc.look_up(none.select("key"), warc.write_index(none, base), base).count() == 0
 
 
 def test_url_keys_sort_by_reversed_host():

@@ -101,6 +101,12 @@ def test_code_file_random_access():
     assert (f.ids() == ids).all() and [f.token(i) for i in range(len(ids))] == ids.tolist()
     with pytest.raises(IndexError):
         f.token(len(ids))
+    data, read = token_files.write_codes(np.tile(ids, 40), np.array([1, 2]), np.array([0, 10, 40 * len(ids)])), []
+    g = token_files.CodeFile(lambda at, n: (read.append(n), data[at : at + n])[1])
+    assert [g.token(i) for i in (0, 100_003, 40 * len(ids) - 1)] == [ids[i % len(ids)] for i in (0, 100_003, 40 * len(ids) - 1)]
+    assert sum(read) < 2000 < len(data) // 100
+    for a, b in ((0, 0), (511, 513), (1000, 5000)):
+        assert (g.tokens(a, b) == np.tile(ids, 40)[a:b]).all()
 
 
 def test_no_documents(spark, tmp_path):

@@ -2,8 +2,8 @@
 
 An id is split into chunks of 8 bits, lowest first. Level k holds the k-th chunks of all ids
 that have one, and a bitmap that tells which go on to level k + 1; a directory of ranks, one
-per 512 bits of the bitmap, gives the place of an id's next chunk. So any token is read with a
-few bytes of each level and no block is decoded.
+per 512 bits of the bitmap, gives the place of an id's next chunk. So any token, or run of tokens, is read with
+its bytes of each level and one block of bitmap before them, and no block of codes is decoded.
 
 A file: fixed header (mark, numbers of documents, tokens and levels), document ids, document
 starts, then for each level its length, chunks, bitmap and rank directory. Documents are
@@ -35,6 +35,8 @@ HEAD = struct.Struct("<8sqqq")
 RANK_BITS = 512
 END_ID = 2
 FILE_TOKENS = 8_000_000
+#: Tokens that are read at once, about, where all documents of a file are asked for.
+SPAN_TOKENS = 1 << 18
 #: Stands for a null id in a file.
 NO_ID = -(2**63)
 
@@ -57,45 +59,60 @@ def write_codes(ids: np.ndarray, doc_ids: np.ndarray, starts: np.ndarray) -> byt
 
 
 class CodeFile:
-    """Reads a file: ``token(i)`` goes to single codes, ``ids()`` decodes them all."""
+    """Reads a file's tokens by place: of each level only the bytes of the tokens asked for, and
+    what the rank directory and one block of the bitmap before them say of their place on the next.
 
-    def __init__(self, data: bytes) -> None:
-        mark, docs, self.n, count = HEAD.unpack_from(data)
+    ``source`` is the file's bytes, or a function of offset and length that reads a range."""
+
+    def __init__(self, source) -> None:
+        self.read = source if callable(source) else lambda at, n: source[at : at + n]
+        mark, self.docs, self.n, count = HEAD.unpack(self.read(0, HEAD.size))
         if mark != MARK:
             raise ValueError("not a token file")
-        at = HEAD.size
-        self.doc_ids = np.frombuffer(data, "<i8", docs, at)
-        self.starts = np.frombuffer(data, "<i8", docs + 1, at + 8 * docs)
-        at += 16 * docs + 8
-        self.levels = []
+        at = HEAD.size + 16 * self.docs + 8
+        self.levels = []  # chunks, and where they, the bitmap and the rank directory begin
         for _ in range(count):
-            (n,) = struct.unpack_from("<q", data, at)
-            blocks = -(-n // RANK_BITS)
-            chunks = np.frombuffer(data, np.uint8, n, at + 8)
-            bits = np.frombuffer(data, np.uint8, blocks * RANK_BITS // 8, at + 8 + n)
-            at += 8 + n + len(bits)
-            self.levels.append((chunks, bits, np.frombuffer(data, "<u8", blocks, at)))
-            at += 8 * blocks
+            (n,) = struct.unpack("<q", self.read(at, 8))
+            size = -(-n // RANK_BITS)
+            self.levels.append((n, at + 8, at + 8 + n, at + 8 + n + size * RANK_BITS // 8))
+            at = self.levels[-1][3] + 8 * size
+
+    def _array(self, kind, at: int, n: int) -> np.ndarray:
+        return np.frombuffer(self.read(at, n * np.dtype(kind).itemsize), kind, n)
+
+    @property
+    def doc_ids(self) -> np.ndarray:
+        return self._array("<i8", HEAD.size, self.docs)
+
+    @property
+    def starts(self) -> np.ndarray:
+        return self._array("<i8", HEAD.size + 8 * self.docs, self.docs + 1)
+
+    def tokens(self, low: int, high: int) -> np.ndarray:
+        """Tokens ``low`` to ``high - 1``."""
+        if not 0 <= low <= high <= self.n:
+            raise IndexError((low, high))
+        out, at = np.zeros(high - low, "<u4"), np.arange(high - low)
+        for k, (_, chunks, bits, ranks) in enumerate(self.levels):
+            if low == high:
+                break
+            out[at] |= self._array(np.uint8, chunks + low, high - low).astype("<u4") << np.uint32(8 * k)
+            block = low // RANK_BITS
+            first = block * RANK_BITS // 8
+            on = np.unpackbits(self._array(np.uint8, bits + first, -(-high // 8) - first), bitorder="little")
+            before, on = on[: low % RANK_BITS], on[low % RANK_BITS : low % RANK_BITS + high - low].astype(bool)
+            at = at[on]
+            low = int(self._array("<u8", ranks + 8 * block, 1)[0]) + int(before.sum())
+            high = low + len(at)
+        return out
 
     def token(self, i: int) -> int:
         if not 0 <= i < self.n:
             raise IndexError(i)
-        value = 0
-        for k, (chunks, bits, ranks) in enumerate(self.levels):
-            value |= int(chunks[i]) << 8 * k
-            if not bits[i >> 3] >> (i & 7) & 1:
-                break
-            block = i // RANK_BITS
-            before = bits[block * RANK_BITS // 8 : i >> 3]
-            i = int(ranks[block]) + int(np.bitwise_count(before).sum()) + int(bits[i >> 3] & ((1 << (i & 7)) - 1)).bit_count()
-        return value
+        return int(self.tokens(i, i + 1)[0])
 
     def ids(self) -> np.ndarray:
-        out, at = np.zeros(self.n, "<u4"), np.arange(self.n)
-        for k, (chunks, bits, _) in enumerate(self.levels):
-            out[at] |= chunks.astype("<u4") << np.uint32(8 * k)
-            at = at[np.unpackbits(bits, count=len(chunks), bitorder="little").astype(bool)]
-        return out
+        return self.tokens(0, self.n)
 
 
 def write_token_files(docs: DataFrame, base: str, path: str | None = None, end_id: int = END_ID, file_tokens: int = FILE_TOKENS,
@@ -142,8 +159,12 @@ def read_token_files(manifest: DataFrame, base: str) -> DataFrame:
         for b in batches:
             for name, first in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 f = CodeFile(files.read_all(base, name))
-                raw, at = memoryview(f.ids().tobytes()), f.starts
-                crc = [zlib.crc32(raw[4 * at[k] : 4 * at[k + 1]]) for k in range(len(f.doc_ids))]
+                at, crc, k = f.starts, [], 0
+                while k < f.docs:  # some documents at a time, from wherever they stand
+                    end = max(k + 1, int(np.searchsorted(at, at[k] + SPAN_TOKENS, "right")) - 1)
+                    raw = memoryview(f.tokens(int(at[k]), int(at[end])).tobytes())
+                    crc += [zlib.crc32(raw[4 * (at[j] - at[k]) : 4 * (at[j + 1] - at[k])]) for j in range(k, end)]
+                    k = end
                 ids = pa.array(f.doc_ids, mask=f.doc_ids == NO_ID)
                 yield pa.RecordBatch.from_arrays([ids, pa.array(at[:-1] + first), pa.array(np.diff(at)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
@@ -156,7 +177,8 @@ def random_token(manifest: DataFrame, base: str, i: int) -> int:
     row = manifest.where((F.col("start") <= i) & (F.col("start") + F.col("n_tokens") > i)).first()
     if row is None:
         raise IndexError(i)
-    return CodeFile(files.read_all(base, row["file"])).token(i - row["start"])
+    with files.open_file(base, row["file"]) as opened:
+        return CodeFile(lambda at, n: opened.read_at(n, at)).token(i - row["start"])
 
 
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,9 +2,12 @@
 
 Every page becomes one gzip member of a WARC file: a response with its payload, or a revisit
 that refers to the response of an equal payload. Index entries are range-sorted by key, the
-URL with its host reversed, and compressed in blocks of ``BLOCK_ENTRIES``; a sparse directory
-has the first key and the place of each block. A look-up searches the directory by bisection,
-reads the blocks that may hold the key by range, and then the records by range.
+URL with its host reversed, and compressed in blocks of ``BLOCK_ENTRIES``; at the end of each
+index file stands a sparse directory with the first and last key and the place of each block. One
+row for each index file, so no more than there are range partitions, is loaded. A look-up searches
+these rows, the file's directory and the block by bisection, each read by range, and reads the
+records by range. Many look-ups at once are dealt by block, so a URL with many captures is too.
+A revisit names the URL of its response, by which its payload is looked up.
 
 Files go to a folder that driver and executors share; a name is used by one attempt of one
 task only, and what a lost task left behind is in no index.
@@ -12,7 +15,7 @@ task only, and what a lost task left behind is in no index.
 Defined cases: a null payload is empty; payloads under ``MIN_REVISIT`` bytes are responses;
 of equal payloads the smallest page_id is the response (rows that repeat that id with that
 payload are responses too, and so are all where no id is there); a null URL is an empty one,
-with an empty key; an empty table gives an empty index; other columns are ignored.
+with an empty key; URLs are percent-encoded before all else; an empty table gives an empty index; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,7 +24,9 @@ import hashlib
 import json
 import re
 import zlib
-from bisect import bisect_left
+from bisect import bisect_left, bisect_right
+from functools import lru_cache
+from itertools import groupby
 from urllib.parse import quote, urlsplit
 
 import pyarrow as pa
@@ -59,7 +64,7 @@ def _header(url: str) -> str:
     return quote(url, safe="!#$%&'()*+,/:;=?@[]~-._")
 
 
-def write_record(page_id: int | None, url: str, payload: bytes, size: int, digest: str, refers_to: int | None) -> bytes:
+def write_record(page_id: int | None, url: str, payload: bytes, size: int, digest: str, refers_to: int | None, refers_url: str | None = None) -> bytes:
     """One record as a gzip member; with ``refers_to`` a revisit, without payload."""
     kind = "response" if refers_to is None else "revisit"
     block = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {size}\r\n\r\n".encode()
@@ -67,7 +72,7 @@ def write_record(page_id: int | None, url: str, payload: bytes, size: int, diges
     if refers_to is None:
         block += payload
     else:
-        lines += [f"WARC-Profile: {PROFILE}", f"WARC-Refers-To: <urn:page:{refers_to}>"]
+        lines += [f"WARC-Profile: {PROFILE}", f"WARC-Refers-To: <urn:page:{refers_to}>", f"WARC-Refers-To-Target-URI: {_header(refers_url or '')}"]
     lines += ["Content-Type: application/http; msgtype=response", f"Content-Length: {len(block)}", "", ""]
     packer = zlib.compressobj(LEVEL, zlib.DEFLATED, 31)
     return packer.compress("\r\n".join(lines).encode() + block + b"\r\n\r\n") + packer.flush()
@@ -89,7 +94,7 @@ def read_record(member: bytes) -> dict:
     if fields["WARC-Type"] == "response":
         if hashlib.sha256(payload).hexdigest() != said or len(payload) != size:
             raise ValueError(f"damaged record {fields['WARC-Record-ID']}")
-    return {"page_id": number("WARC-Record-ID"), "payload": payload, "payload_bytes": size, "payload_digest": said, "record_type": fields["WARC-Type"], "refers_to": number("WARC-Refers-To")}
+    return {"page_id": number("WARC-Record-ID"), "payload": payload, "payload_bytes": size, "payload_digest": said, "record_type": fields["WARC-Type"], "refers_to": number("WARC-Refers-To"), "refers_url": fields.get("WARC-Refers-To-Target-URI")}
 
 
 def write_archives(pages: DataFrame, base: str, min_revisit: int = MIN_REVISIT, file_bytes: int = FILE_BYTES) -> DataFrame:
@@ -98,9 +103,10 @@ def write_archives(pages: DataFrame, base: str, min_revisit: int = MIN_REVISIT,
     payload = F.coalesce(F.col("html"), F.lit("")).cast("binary")
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.coalesce("url", F.lit("")).alias("url"), payload.alias("payload"))
     rows = rows.withColumn("digest", F.sha2("payload", 256))
-    equal = rows.where(F.length("payload") >= min_revisit).groupBy("digest").agg(F.min("page_id").alias("first"), F.count(F.lit(1)).alias("n"))
+    equal = rows.where(F.length("payload") >= min_revisit).groupBy("digest").agg(F.min(F.when(F.col("page_id").isNotNull(), F.struct("page_id", "url"))).alias("first"), F.count(F.lit(1)).alias("n"))
     equal = materialize(equal.where("n > 1").select("digest", "first"), "equal")
-    rows = rows.join(equal, "digest", "left").select("page_id", "url", "payload", "digest", F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first")).alias("refers"))
+    other = ~F.col("page_id").eqNullSafe(F.col("first.page_id"))
+    rows = rows.join(equal, "digest", "left").select("page_id", "url", "payload", "digest", F.when(other, F.col("first.page_id")).alias("refers"), F.when(other, F.col("first.url")).alias("refers_url"))
 
     def run(batches):
         part, nth = TaskContext.get().partitionId(), 0
@@ -113,9 +119,9 @@ def write_archives(pages: DataFrame, base: str, min_revisit: int = MIN_REVISIT,
             return pa.RecordBatch.from_arrays(cols, names=["key", "url", "page_id", "file", "offset", "length", "record_type"])
 
         for b in batches:
-            for page, url, body, digest, refers in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                member = write_record(page, url, body, len(body), digest, refers)
-                entries.append((url_key(url), url, page, size, len(member), "response" if refers is None else "revisit"))
+            for page, url, body, digest, refers, refers_url in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                member = write_record(page, url, body, len(body), digest, refers, refers_url)
+                entries.append((url_key(_header(url)), url, page, size, len(member), "response" if refers is None else "revisit"))
                 held.append(member)
                 size += len(member)
                 if size >= file_bytes:
@@ -128,8 +134,8 @@ def write_archives(pages: DataFrame, base: str, min_revisit: int = MIN_REVISIT,
 
 
 def write_index(entries: DataFrame, base: str, block_entries: int = BLOCK_ENTRIES) -> DataFrame:
-    """Write the sorted, compressed blocks; the directory ``part, nth, first_key, last_key,
-    file, offset, length, n`` as a written table."""
+    """Write the sorted, compressed blocks and their directories; ``first_key, last_key, file,
+    offset, length, n_blocks`` of each index file's directory as a written table."""
     rows = entries.repartitionByRange("key", "page_id").sortWithinPartitions("key", "page_id", "file", "offset")
 
     def run(batches):
@@ -138,7 +144,7 @@ def write_index(entries: DataFrame, base: str, block_entries: int = BLOCK_ENTRIE
         def pack():
             lines = "\n".join(json.dumps(list(e), ensure_ascii=False) for e in held)
             blocks.append(zlib.compress(lines.encode(), LEVEL))
-            return (held[0][0], held[-1][0], size, len(blocks[-1]), len(held))
+            return (held[0][0], held[-1][0], size, len(blocks[-1]))
 
         for b in batches:
             for e in zip(*(c.to_pylist() for c in b.columns), strict=True):
@@ -149,74 +155,119 @@ def write_index(entries: DataFrame, base: str, block_entries: int = BLOCK_ENTRIE
                     held = []
         if held:
             made.append(pack())
+            size += made[-1][3]
         if made:
-            name = files.create(base, f"index-{part:06d}", ".cdx.z", b"".join(blocks))
-            lo, hi, off, n, count = map(list, zip(*made, strict=True))
-            m = len(lo)
-            cols = [pa.array([part] * m, pa.int64()), pa.array(range(m), pa.int64()), pa.array(lo, pa.string()), pa.array(hi, pa.string()), pa.array([name] * m, pa.string()), *(pa.array(x, pa.int64()) for x in (off, n, count))]
-            yield pa.RecordBatch.from_arrays(cols, names=["part", "nth", "first_key", "last_key", "file", "offset", "length", "n"])
+            tail = zlib.compress("\n".join(json.dumps(m, ensure_ascii=False) for m in made).encode(), LEVEL)
+            name = files.create(base, f"index-{part:06d}", ".cdx.z", b"".join([*blocks, tail]))
+            row = {"first_key": [made[0][0]], "last_key": [made[-1][1]], "file": [name], "offset": [size], "length": [len(tail)], "n_blocks": [len(made)]}
+            text, number = pa.string(), pa.int64()
+            yield pa.RecordBatch.from_pydict(row, schema=pa.schema(list(zip(row, (text, text, text, number, number, number), strict=True))))
 
-    return materialize(rows.mapInArrow(run, "part long, nth long, first_key string, last_key string, file string, offset long, length long, n long"), "directory")
+    return materialize(rows.mapInArrow(run, "first_key string, last_key string, file string, offset long, length long, n_blocks long"), "directory")
 
 
 def read_block(base: str, file: str, offset: int, length: int) -> list[list]:
-    """Entries of a block, read by range."""
+    """Entries of a block, or rows of a directory, read by range."""
     return [json.loads(x) for x in zlib.decompress(files.read_range(base, file, offset, length)).decode().split("\n")]
 
 
-def read_captures(directory: DataFrame, base: str) -> DataFrame:
-    """All records (see ``RECORD``), from the blocks of the index to the ranges of the archives."""
+class CaptureIndex:
+    """Looks URLs up; loads one row for each index file."""
 
-    def run(batches):
-        for b in batches:
-            for file, offset, length in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                out, opened, now = [], None, None
-                for _, url, page, name, at, n, _ in sorted(read_block(base, file, offset, length), key=lambda e: (e[3], e[4])):
-                    if name != now:
-                        if opened:
-                            opened.close()
-                        opened, now = files.open_file(base, name), name
-                    opened.seek(at)
-                    r = read_record(opened.read(n))
-                    if r["page_id"] != page:
-                        raise ValueError(f"the index and {name} differ at {at}")
-                    out.append((page, url, r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"]))
-                if opened:
-                    opened.close()
-                cols = [pa.array(c, t) for c, t in zip(map(list, zip(*out, strict=True)), (pa.int64(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.int64()), strict=True)]
-                yield pa.RecordBatch.from_arrays(cols, names=["page_id", "url", "payload_bytes", "payload_digest", "record_type", "refers_to"])
+    def __init__(self, directory: DataFrame, base: str) -> None:
+        self._load(sorted(map(tuple, directory.select("last_key", "first_key", "file", "offset", "length").collect())), base)
 
-    todo = directory.select("file", "offset", "length")
-    return todo.repartition(max(1, min(todo.count(), 20_000))).mapInArrow(run, RECORD)
+    def _load(self, rows: list[tuple], base: str) -> None:
+        self.rows, self.base, self.last = rows, base, [r[0] for r in rows]
+        self._blocks = lru_cache(4)(lambda file, offset, length: read_block(base, file, offset, length))
 
+    def __getstate__(self):
+        return self.rows, self.base
 
-class CaptureIndex:
-    """Looks URLs up. The sparse directory, one row for ``BLOCK_ENTRIES`` captures, is loaded."""
+    def __setstate__(self, state) -> None:
+        self._load(*state)
 
-    def __init__(self, directory: DataFrame, base: str) -> None:
-        self.base = base
-        self.rows = directory.orderBy("part", "nth").collect()
-        self.last = [r["last_key"] for r in self.rows]
+    def blocks(self, key: str):
+        """``file, offset, length`` of the blocks that may hold the key, by two bisections."""
+        for last, first, file, offset, length in self.rows[bisect_left(self.last, key) :]:
+            if first > key:
+                return
+            own = self._blocks(file, offset, length)
+            for m in own[bisect_left(own, key, key=lambda m: m[1]) :]:
+                if m[0] > key:
+                    return
+                yield file, m[2], m[3]
+
+    def entries(self, key: str):
+        for place in self.blocks(key):
+            yield from _of_key(read_block(self.base, *place), key)
 
     def lookup(self, url: str) -> list[dict]:
         """The records of a URL, payloads of revisits from the responses they refer to."""
-        key, found = url_key(url), []
-        for r in self.rows[bisect_left(self.last, key) :]:
-            if r["first_key"] > key:
-                break
-            entries = read_block(self.base, r["file"], r["offset"], r["length"])
-            keys = [e[0] for e in entries]
-            for e in entries[bisect_left(keys, key) :]:
-                if e[0] != key:
-                    break
-                found.append({"url": e[1]} | read_record(files.read_range(self.base, e[3], e[4], e[5])))
+        found = []
+        for e in self.entries(url_key(_header(url))):
+            r = read_record(files.read_range(self.base, e[3], e[4], e[5]))
+            if r["record_type"] == "revisit":
+                for o in self.entries(url_key(r["refers_url"])):
+                    if o[2] == r["refers_to"] and o[6] == "response":
+                        first = read_record(files.read_range(self.base, o[3], o[4], o[5]))
+                        if first["payload_digest"] == r["payload_digest"]:
+                            r["payload"] = first["payload"]
+                            break
+                else:
+                    raise ValueError(f"no response to the revisit of page {r['page_id']}")
+            found.append({"url": e[1]} | r)
         return found
 
 
+def _of_key(entries: list[list], key: str) -> list[list]:
+    own = lambda e: e[0]
+    return entries[bisect_left(entries, key, key=own) : bisect_right(entries, key, key=own)]
+
+
+def look_up(keys: DataFrame, directory: DataFrame, base: str) -> DataFrame:
+    """All records (see ``RECORD``) of the distinct keys in ``key``. The keys go through the
+    directory in their order; what is then read is dealt by block among the tasks."""
+    index = CaptureIndex(directory, base)
+
+    def find(batches):
+        for b in batches:
+            found = [(k, *place) for k in b.column(0).to_pylist() for place in index.blocks(k)]
+            if found:
+                k, f, o, n = map(list, zip(*found, strict=True))
+                yield pa.RecordBatch.from_arrays([pa.array(k), pa.array(f), pa.array(o, pa.int64()), pa.array(n, pa.int64())], names=["key", "file", "offset", "length"])
+
+    def read(batches):
+        rows = (r for b in batches for r in zip(*(c.to_pylist() for c in b.columns), strict=True))
+        for place, own in groupby(rows, key=lambda r: r[1:]):
+            block, out, opened, now = read_block(base, *place), [], None, None
+            todo = [e for k, *_ in own for e in _of_key(block, k)]
+            for _, url, page, name, at, n, _ in sorted(todo, key=lambda e: (e[3], e[4])):
+                if name != now:
+                    if opened:
+                        opened.close()
+                    opened, now = files.open_file(base, name), name
+                opened.seek(at)
+                r = read_record(opened.read(n))
+                if r["page_id"] != page:
+                    raise ValueError(f"the index and {name} differ at {at}")
+                out.append((page, url, r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"]))
+            if opened:
+                opened.close()
+                cols = [pa.array(c, t) for c, t in zip(map(list, zip(*out, strict=True)), (pa.int64(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.int64()), strict=True)]
+                yield pa.RecordBatch.from_arrays(cols, names=["page_id", "url", "payload_bytes", "payload_digest", "record_type", "refers_to"])
+
+    count = directory.agg(F.sum("n_blocks")).first()[0] or 1
+    places = keys.select("key").distinct().repartitionByRange("key").sortWithinPartitions("key").mapInArrow(find, "key string, file string, offset long, length long")
+    places = places.repartition(min(count, 20_000), "file", "offset").sortWithinPartitions("file", "offset", "key")
+    return places.mapInArrow(read, RECORD)
+
+
 def op1_warc_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = f"{scratch_dir(spark)}/warc"
-    directory = write_index(write_archives(spark.read.parquet(f"{sf_dir}/pages.parquet"), base), base)
-    return read_captures(directory, base).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    entries = write_archives(spark.read.parquet(f"{sf_dir}/pages.parquet"), base)
+    found = look_up(entries.select("key"), write_index(entries, base), base)
+    return found.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
 ORACLE_SQL = """
