@@ -407,9 +407,9 @@ def oracle_sql() -> dict[str, str]:
     a3 = base["a3_baskets"]
     longer = f"""WITH RECURSIVE r AS MATERIALIZED ({a3}), x AS (SELECT pattern, length, freq, string_split(pattern, ' ') AS w FROM r),
 held AS (
-  SELECT p.pattern, q.pattern AS q, 1 AS k, list_position(q.w, p.w[1]) AS at FROM x p JOIN x q ON q.length > p.length AND list_contains(q.w, p.w[1])
-  UNION ALL SELECT h.pattern, h.q, k + 1, at + list_position(q.w[at + 1:], p.w[k + 1]) FROM held h JOIN x p ON p.pattern = h.pattern JOIN x q ON q.pattern = h.q
-  WHERE k < p.length AND list_contains(q.w[at + 1:], p.w[k + 1]))
+  SELECT p.pattern, q.pattern AS q, 1 AS k, list_position(q.w, p.w[1]) AS place FROM x p JOIN x q ON q.length > p.length AND list_contains(q.w, p.w[1])
+  UNION ALL SELECT h.pattern, h.q, k + 1, place + list_position(q.w[place + 1:], p.w[k + 1]) FROM held h JOIN x p ON p.pattern = h.pattern JOIN x q ON q.pattern = h.q
+  WHERE k < p.length AND list_contains(q.w[place + 1:], p.w[k + 1]))
 SELECT pattern, length, freq FROM x WHERE NOT EXISTS (SELECT 1 FROM held h JOIN x q ON q.pattern = h.q WHERE h.pattern = x.pattern AND h.k = x.length"""
     out["maximal_patterns"] = longer + ")"
     out["closed_patterns"] = longer + " AND q.freq = x.freq)"
