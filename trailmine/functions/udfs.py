@@ -29,7 +29,6 @@ class NamedKernel:
             self.names.append(w)
             above = dict.fromkeys(a for p in self.parents.get(w, ()) for a in self.up[self.number(p)])
             self.up[self.ids[w]] = (self.ids[w], *above)
-            self.kernel.sets[self.ids[w]] = frozenset(self.up[self.ids[w]])
         return self.ids[w]
 
     def outputs(self, items) -> list[list[str]]:
