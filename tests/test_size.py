@@ -84,3 +84,17 @@ def test_joins_in_tasks(db, text):
     g = native.from_transducer(compile_expression(text, "anywhere"))
     found = lambda df: {(tuple(r["pattern"]), r["freq"]) for r in df.collect()}
     assert found(local.walk(db, g, 5)) == found(native.walk_tables(db, g, 5)) != set()
+
+
+def test_event_closure_reads_events(spark, tmp_path):
+    """Only the types that the table holds have ancestors, and classes."""
+    import duckdb
+
+    import __spark_entry__
+
+    spark.createDataFrame([("click",), ("error",), ("click",)], "event_type string").coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    got = sorted(map(tuple, __spark_entry__.queries()["hierarchy_closure_events"](spark, str(tmp_path)).collect()))
+    assert got == [("BROWSE", "ACTION"), ("CONVERT", "ACTION"), ("click", "ACTION"), ("click", "BROWSE"), ("error", "FAULT")]
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
+    assert got == sorted(con.execute(__spark_entry__.oracle_sql()["hierarchy_closure_events"]).fetchall())
