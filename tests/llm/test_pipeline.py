@@ -174,3 +174,26 @@ def test_packing_keeps_the_order(spark, tmp_path):
     pieces = materialize(packing.token_pieces(spark.read.parquet(f"{tmp_path}/d"), tokens.default_path()), "pieces")
     got = packing.pack_pieces(pieces, shard_pieces=300).groupBy(F.shiftright("sequence_id", 36).alias("shard")).agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).orderBy("shard").collect()
     assert len(got) >= 8 and all(a["hi"] < b["lo"] for a, b in zip(got, got[1:], strict=False))
+
+
+def test_workers_give_back_free_memory():
+    """A worker that waits beside the next stage holds no memory that its last task has freed."""
+    import re
+
+    import pyarrow as pa
+
+    from trailmine.llm.common import trimmed
+
+    def held() -> float:
+        with open("/proc/self/smaps_rollup") as f:
+            return sum(map(int, re.findall(r"\nPss_Anon:\s+(\d+)", f.read()))) / 1024
+
+    def run(batches):
+        for b in batches:
+            some = [pa.array([k] * 2000, pa.int64()) for k in range(10_000)]
+            yield pa.RecordBatch.from_arrays([pa.array([len(some)])], names=["n"])
+
+    before, most, got = held(), 0, 0
+    for b in trimmed(run)([None, None]):
+        got, most = got + b["n"][0].as_py(), max(most, held())
+    assert got == 20_000 and most - before > 100 and held() - before < (most - before) / 4

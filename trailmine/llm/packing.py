@@ -31,7 +31,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bound_batches, documents, materialize, whole_text
+from .common import bound_batches, documents, materialize, trimmed, whole_text
 from .tokens import default_path, encoder
 
 CAPACITY = 4096
@@ -48,7 +48,7 @@ ORDER = ("file", "split", "task", "nth")
 
 def token_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = END_ID, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, piece, start, length, ids_crc32`` of every piece of every document, and ``ORDER``."""
-    bound_batches(docs.sparkSession, mb=16)
+    bound_batches(docs.sparkSession, mb=8)
     rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), whole_text(F.col(f"`{text_col}`")).alias("text"), F.input_file_name().alias("file"), F.input_file_block_start().alias("split"))
 
     def run(batches):
@@ -73,7 +73,7 @@ def token_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: i
             nth += m
             yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "piece", "start", "length", "ids_crc32", *ORDER])
 
-    return rows.mapInArrow(run, PIECES + ", file string, split long, task int, nth long")
+    return rows.mapInArrow(trimmed(run), PIECES + ", file string, split long, task int, nth long")
 
 
 def configurations(sizes: list[int], demand: list[int], room: int) -> list[tuple[np.ndarray, int]]:
@@ -208,7 +208,7 @@ def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY, shard_pieces: int =
         if held:
             yield from flush()[1]
 
-    return rows.mapInArrow(run, f"{PIECES}, sequence_id long, offset long")
+    return rows.mapInArrow(trimmed(run), f"{PIECES}, sequence_id long, offset long")
 
 
 def pack_documents(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, end_id: int = END_ID, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bound_batches, documents, materialize, text_digest, whole_row, whole_text
+from .common import bound_batches, documents, materialize, text_digest, trimmed, whole_row, whole_text
 from .components import components
 
 SHINGLE = 3
@@ -66,7 +66,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             fps = np.array([fingerprint(t.as_py(), shingle) for t in b.column(1)], dtype=np.uint64)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64)), b.column(2)], names=["doc_id", "fp", "digest"])
 
-    return rows.mapInArrow(run, "doc_id long, fp long, digest binary")
+    return rows.mapInArrow(trimmed(run), "doc_id long, fp long, digest binary")
 
 
 def masks(bits: int, most: int) -> list[tuple[int, int]]:
@@ -210,7 +210,7 @@ def links(dealt: DataFrame) -> DataFrame:
         if held:
             yield from flush(pa.Table.from_batches(held).combine_chunks())
 
-    return rows.mapInArrow(run, "u long, v long")
+    return rows.mapInArrow(trimmed(run), "u long, v long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, cell_rows: int = CELL_ROWS) -> DataFrame:
