@@ -98,3 +98,32 @@ def test_event_closure_reads_events(spark, tmp_path):
     con = duckdb.connect()
     con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
     assert got == sorted(con.execute(__spark_entry__.oracle_sql()["hierarchy_closure_events"]).fetchall())
+
+
+def test_items_are_looked_up_in_tasks(spark, monkeypatch):
+    """Frequencies and ids are found where the sequences lie, without a shuffle of positions, as
+    joins find them; nulls, empty sequences and ancestors that occur themselves included."""
+    rows = [(1, ["a1", "B", None, "a1"]), (2, []), (3, None), (4, ["A", "a2", "x"]), (5, [None]), (6, ["b1", "B", "a1"])]
+    seqs = spark.createDataFrame(rows, "sid long, items array<string>")
+    edges = spark.createDataFrame([("a1", "A"), ("a2", "A"), ("b1", "B"), ("B", "TOP"), ("no", "TOP")], "child string, parent string")
+
+    def prepared():
+        d = di.build_dictionary(seqs, edges)
+        out = di.encode(seqs, d)
+        names = {r["fid"]: r["item"] for r in d.items.collect()}
+        plan = out._jdf.queryExecution().executedPlan().toString()
+        return d.items.orderBy("fid").collect(), {r["sid"]: [names[w] for w in r["items"]] for r in out.collect()}, plan
+
+    items, coded, plan = prepared()
+    assert coded == {1: ["a1", "B", "a1"], 4: ["A", "a2", "x"], 6: ["b1", "B", "a1"]} and "Exchange" not in plan
+    assert {r["item"]: r["freq"] for r in items} == {"A": 3, "a1": 2, "a2": 1, "B": 2, "b1": 1, "TOP": 2, "x": 1, "no": 0}
+    monkeypatch.setattr(di, "LOCAL_NAMES", 0)
+    monkeypatch.setattr(di, "LOCAL_PAIRS", 0)
+    slow = prepared()
+    assert slow[:2] == (items, coded) and "Exchange" in slow[2]
+
+
+def test_outputs_are_counted_before_they_leave_a_task(monkeypatch):
+    monkeypatch.setattr(mining, "HELD_OUTPUTS", 2)
+    got = [tuple(zip(b["pattern"].to_pylist(), b["n"].to_pylist(), strict=True)) for b in mining.combined([{(1,)}, {(1,)}, {(1,), (2, 3)}, {(1,)}])]
+    assert got == [(([1], 3), ([2, 3], 1)), (([1], 1),)] or got == [(([2, 3], 1), ([1], 3)), (([1], 1),)]
