@@ -127,3 +127,40 @@ def test_outputs_are_counted_before_they_leave_a_task(monkeypatch):
     monkeypatch.setattr(mining, "HELD_OUTPUTS", 2)
     got = [tuple(zip(b["pattern"].to_pylist(), b["n"].to_pylist(), strict=True)) for b in mining.combined([{(1,)}, {(1,)}, {(1,), (2, 3)}, {(1,)}])]
     assert got == [(([1], 3), ([2, 3], 1)), (([1], 1),)] or got == [(([2, 3], 1), ([1], 3)), (([1], 1),)]
+
+
+TEXTS = ["The cats ran. a An", "...", ".Running fast! Running again\nand\nRe-running", "", None, "ÄÖ kKk x" + "y" * 40 + " x" + "y" * 41 + " is. on", "one" * 30 + "? two three", "z", "é.b", "A" * 13 + " " + "A" * 14]
+
+
+def test_texts_by_bytes_are_as_by_expressions(spark, tmp_path):
+    """Words and letters that tasks read from bytes: the same items, frequencies and sequences as by
+    regular expressions, long words, word-less texts and bounds of texts included."""
+    from trailmine.operators import mining
+    from trailmine.sources import sequences as sq
+
+    rows = [(k, t, "en") for k, t in enumerate(TEXTS * 3)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").repartition(2).write.parquet(f"{tmp_path}/documents.parquet")
+    for name, slow, edges in (("sentence_texts", sq.sentence_tokens, sq.token_edges), ("letter_texts", sq.letter_strings, None)):
+        got = getattr(sq, name)(spark, str(tmp_path)).encoded()
+        assert got is not None
+        want = mining.prepare(slow(spark, str(tmp_path)), edges and edges(spark, str(tmp_path)))
+        for a, b in ((got[1].items, want.dictionary.items), (got[1].pairs, want.dictionary.pairs), (got[0], want.seqs)):
+            assert sorted(map(tuple, a.collect())) == sorted(map(tuple, b.collect())) != []
+
+
+def test_texts_that_share_an_id_are_prepared_the_general_way(spark):
+    from trailmine.operators import mining
+    from trailmine.sources.texts import Texts
+
+    rows = spark.createDataFrame([(1, "ab"), (1, "bc")], "sid long, text string")
+    assert Texts(rows, True).encoded() is None
+    assert mining.prepare_texts(Texts(rows, True), spark.createDataFrame([(1, list("ab")), (1, list("bc"))], "sid long, items array<string>")).sequences == 1
+
+
+def test_lengths_that_few_prefixes_have_are_counted_in_one_pass(spark):
+    from trailmine.operators import local
+
+    chain = [(k, 0, 0, None, k + 1) for k in range(4)]
+    assert local.lengths_ahead(chain, [True], [3], 10, {0}, 1) == (4, [{1}, {2}, {3}, {4}])
+    assert local.lengths_ahead(chain, [True], [local.AHEAD], 10, {0}, 1)[0] == 1
+    assert local.lengths_ahead(chain, [True], [3], 10, {4}, 1)[0] == 0
