@@ -104,3 +104,16 @@ def test_growth_writes_no_snapshots(db, text, monkeypatch):
 def test_growth_over_free_gaps_takes_rows(db):
     t = compile_expression("(A) .* (.)", "anywhere")
     assert local.grow(db, t, 2) is None and found(mining.snapshot_growth(db, t, 2))
+
+
+@pytest.mark.parametrize("text", ["(A^)[.{0,2}(A^)]{1,4}", "(.^){2} B"])
+def test_plain_is_stepped_in_arrays(db, text, monkeypatch):
+    """No sequence is taken alone; the guard of its outputs holds."""
+    t = compile_expression(text, "anywhere")
+    want = {(tuple(x["pattern"]), x["freq"]) for x in mining.generate_and_count(db, t, 2).collect()}
+    monkeypatch.setattr(mining, "generate_and_count", None)
+    names = {r["fid"]: r["item"] for r in db.dictionary.items.collect()}
+    got = mining.mine(db, text, 2, method="plain").collect()
+    assert {(r["pattern"], r["freq"]) for r in got} == {(" ".join(names[w] for w in p), n) for p, n in want} != set()
+    with pytest.raises(Exception, match="over 1 outputs"):
+        mining.mine(db, text, 2, method="plain", limit=1).count()
