@@ -117,3 +117,65 @@ def test_plain_is_stepped_in_arrays(db, text, monkeypatch):
     assert {(r["pattern"], r["freq"]) for r in got} == {(" ".join(names[w] for w in p), n) for p, n in want} != set()
     with pytest.raises(Exception, match="over 1 outputs"):
         mining.mine(db, text, 2, method="plain", limit=1).count()
+
+
+@pytest.mark.parametrize("match", ["anywhere", "full"])
+@pytest.mark.parametrize("text", [*TEXTS, "left (.) (.^)?", "(.^){2} . (.)"])
+def test_patterns_are_as_the_kernel(text, match, monkeypatch):
+    """All outputs of each sequence, in sets of bits and without, in parts, and only some of them."""
+    items, above = pairs()
+    t, rng = compile_expression(text, match), random.Random(7)
+    seqs = [[rng.randint(1, 9) for _ in range(rng.randint(0, 8))] for _ in range(60)]
+    flat, sizes = np.array([w for x in seqs for w in x]), np.array([len(x) for x in seqs])
+
+    def of(s, least):
+        out, before, own = Counter(), [()], np.zeros(s.seqs, np.int64)
+        for parent, o, n, each in s.patterns(least):
+            before = [(*before[p], x) for p, x in zip(parent.tolist(), o.tolist(), strict=True)]
+            out.update({before[k]: x for k, x in enumerate(n.tolist()) if x >= least})
+            own += each
+        assert not s.seqs or sum((x[-1] for x in s.patterns(None)), np.zeros(s.seqs, np.int64)).tolist() == own.tolist()
+        return out, own
+
+    for last in (None, 0, 2, 9):
+        k = Kernel(t, UP, IDS, last)
+        found = [k.generate(x) for x in seqs]
+        want, s = Counter(o for x in found for o in x), Steps(t, items, above, IDS, last)
+        for bits, rows, most in ((1024, 50_000, 3_000_000), (1024, 3, 50), (0, 3, 3_000_000)):
+            for name, x in (("MOST_BITS", bits), ("BIT_ROWS", rows), ("MOST_SNAPSHOTS", most)):
+                monkeypatch.setattr(st, name, x)
+            parts = in_parts(s, flat, sizes, lambda s: of(s, 1))
+            assert sum((x for x, _ in parts), Counter()) == want
+            assert np.concatenate([x for _, x in parts]).tolist() == list(map(len, found))
+        monkeypatch.setattr(st, "MOST_SNAPSHOTS", 3_000_000)
+        s.load(flat, sizes)
+        assert of(s, 4)[0] == {x: n for x, n in want.items() if n >= 4}
+
+
+@pytest.mark.parametrize("text", ["(.^)[.{0,1}(.^)]{1,2}", "(.^){3} B", "A (B+ .? c?) .", "(.)"])
+def test_pruned_is_counted_in_arrays(db, text, monkeypatch):
+    """No sequence is taken alone; tasks leave out what cannot be frequent, by parts of any size,
+    and the same patterns come of all outputs; the guard holds."""
+    t = compile_expression(text, "anywhere")
+    want = {s: found(mining._counted(db, mining.Binding(db, t, s), s, None)) for s in (2, 5)}
+    assert want[2]
+    monkeypatch.setattr(mining, "_counted", None)
+    monkeypatch.setattr(mining.Binding, "kernel", None)
+    for part, share, most in ((8, 100, 500_000), (40, 0, 500_000), (40, 100, 1)):
+        for name, x in (("PART", part), ("SHARE", share), ("MAX_BROADCAST_NODES", most), ("HELD_OUTPUTS", 3)):
+            monkeypatch.setattr(mining, name, x)
+        for s, patterns in want.items():
+            assert found(mining.pruned_count(db, t, s)) == patterns
+    with pytest.raises(Exception, match="over 1 outputs"):
+        mining.pruned_count(db, t, 2, limit=1).count()
+
+
+def test_parts_do_not_end_with_a_batch():
+    import pyarrow as pa
+
+    seqs = [list(range(k % 7 + 1)) for k in range(90)]
+    batches = [pa.RecordBatch.from_arrays([pa.array(seqs[k : k + 16], pa.list_(pa.int32()))], names=["items"]) for k in range(0, 90, 16)]
+    parts = list(mining._parts(iter(batches), 20))
+    assert [w for flat, _ in parts for w in flat.tolist()] == [w for x in seqs for w in x]
+    assert [n for _, sizes in parts for n in sizes.tolist()] == list(map(len, seqs))
+    assert all(20 <= len(flat) <= 45 for flat, _ in parts) and not list(mining._parts(iter([]), 20))
