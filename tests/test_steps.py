@@ -159,17 +159,25 @@ def test_pruned_is_counted_in_arrays(db, text, monkeypatch):
     t = compile_expression(text, "anywhere")
     want = {s: found(mining._counted(db, mining.Binding(db, t, s), s, None)) for s in (2, 5)}
     assert want[2]
+    n = [len(k) for k in _outputs(db, t, 5)]
     monkeypatch.setattr(mining, "_counted", None)
-    monkeypatch.setattr(mining.Binding, "kernel", None)
+    monkeypatch.setattr(mining, "rows_of", None)
     for part, share, most in ((8, 100, 500_000), (40, 0, 500_000), (40, 100, 1)):
         for name, x in (("PART", part), ("SHARE", share), ("MAX_BROADCAST_NODES", most), ("HELD_OUTPUTS", 3)):
             monkeypatch.setattr(mining, name, x)
         for s, patterns in want.items():
             assert found(mining.pruned_count(db, t, s)) == patterns
+    r = mining.mean_outputs(db, t, 5).first()
+    assert (r["n_sequences"], r["n_pairs"] or 0) == (sum(x > 0 for x in n), sum(n))
     with pytest.raises(Exception, match="over 1 outputs"):
         mining.pruned_count(db, t, 2, limit=1).count()
 
 
+def _outputs(db, t, sigma):
+    k = mining.Binding(db, t, sigma).kernel()
+    return [k.generate(k.known(r["items"])) for r in db.seqs.collect()]
+
+
 def test_parts_do_not_end_with_a_batch():
     import pyarrow as pa
 
